@@ -29,17 +29,16 @@ RANK_BUCKETS = 64
 
 
 def knapsack(sizes: np.ndarray, prices: np.ndarray, capacity: int) -> tuple[float, np.ndarray]:
-    """The best multiset of items (value, count of each) by dynamic programming over capacity."""
-    best = np.zeros(capacity + 1)
-    took = np.full(capacity + 1, -1)
+    """The best multiset of items (value, count of each) by dynamic programming; sizes ascend."""
+    best, took = np.zeros(capacity + 1), np.full(capacity + 1, -1)
+    fits = np.searchsorted(sizes, np.arange(capacity + 1), "right").tolist()
     for w in range(1, capacity + 1):
         best[w] = best[w - 1]
-        ok = np.flatnonzero(sizes <= w)
-        if len(ok):
-            value = best[w - sizes[ok]] + prices[ok]
-            k = int(np.argmax(value))
+        if m := fits[w]:
+            value = best[w - sizes[:m]] + prices[:m]
+            k = value.argmax()
             if value[k] > best[w] + 1e-12:
-                best[w], took[w] = value[k], ok[k]
+                best[w], took[w] = value[k], k
     count, w = np.zeros(len(sizes), np.int64), capacity
     while w > 0:
         if took[w] < 0:
@@ -58,14 +57,15 @@ def column_generation(sizes: np.ndarray, demand: np.ndarray, capacity: int, gap:
     """
     n = len(sizes)
     basis = np.diag(capacity // sizes).astype(float)  # columns: as many of one size as fit
-    inverse = np.linalg.inv(basis)
-    uses = inverse @ demand
-    for k in range(rounds):
+    inverse = np.diag(1 / np.diag(basis))
+    uses = np.diag(inverse) * demand
+    for _ in range(rounds):  # rounding errors can only cost a little padding: plan() covers the demand exactly
         prices = inverse.sum(axis=0)
         value, pattern = knapsack(sizes, prices, capacity)
         if value <= 1 + gap:
             break
-        d = inverse @ pattern
+        some = np.flatnonzero(pattern)  # a pattern has few sizes
+        d = (inverse[:, some] * pattern[some]).sum(axis=1)
         ratio = np.where(d > 1e-9, uses / np.where(d > 1e-9, d, 1), np.inf)
         out = int(np.argmin(ratio))
         uses = np.maximum(uses - ratio[out] * d, 0)
@@ -74,9 +74,6 @@ def column_generation(sizes: np.ndarray, demand: np.ndarray, capacity: int, gap:
         pivot = inverse[out] / d[out]
         inverse -= np.outer(d, pivot)
         inverse[out] = pivot
-        if k % 64 == 63:
-            inverse = np.linalg.inv(basis)
-            uses = np.maximum(inverse @ demand, 0)
     return basis.T.round().astype(np.int64).reshape(n, n), uses
 
 
