@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from . import host_rules, packing, substring_dedup, token_file
+from . import host_rules, ngram_join, packing, substring_dedup, token_file
 
-MODULES = (token_file, substring_dedup, host_rules, packing)
+MODULES = (token_file, ngram_join, substring_dedup, host_rules, packing)
 QUERIES = {k: f for m in MODULES for k, f in m.QUERIES.items()}
 ORACLES = {k: q for m in MODULES for k, q in m.ORACLES.items()}
