@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+from .adjacency import permute
+from .fine import relabel, sizes
+
+MODULES = (sizes, relabel, permute)
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 
 
 def _merge() -> None:
-    for m in ():
+    for m in MODULES:
         for name, f in m.QUERIES.items():
             if name in QUERIES:
                 raise ValueError(f"two queries are named {name}")
