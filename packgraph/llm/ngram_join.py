@@ -9,10 +9,10 @@
    components of those links take whole groups of near copies out of the search.
 4. All prefixes go to hash buckets as packed bytes; a shingle needs a search only where it is in the
    prefixes of two components. One bit a shingle comes back, and only such documents are sent on.
-5. In each such group a signature tree (nodes hold the OR of token bitmaps and the range of sizes) is
-   traversed against itself; a pair of nodes is left as soon as the sizes or the largest possible overlap
+5. In each such group signature trees (nodes hold the OR of token bitmaps and the range of sizes) are
+   traversed against each other; a pair of nodes is left as soon as the sizes or the largest possible overlap
    rule out a link, or both lie in one component. Groups are cut by size band (only neighbouring bands can link)
-   and large ones into chunks, each pair of chunks a task's unit.
+   and large bands into chunks, each pair of chunks a unit of its own.
 6. Pairs that remain are compared exactly; components of all links give the result.
 
 Defined results: a text without words has the empty set and no link; with fewer words than a
@@ -26,6 +26,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -33,7 +34,7 @@ from . import words as W
 from .common import components, exchange_flags, text_bytes, to_blocks, unpack, written
 from .substring_dedup import deal, flags_of, n_buckets
 
-SKETCH = 1 << 18
+SKETCH_PARTS = 64
 EARLY = 3
 KEY_BYTES = 6  # of a shingle in a set or bucket: bucket and 48 bits tell shingles apart
 CHUNK = 4096
@@ -74,33 +75,45 @@ def shingles(col: pa.Array, k: int) -> tuple[list[np.ndarray], np.ndarray, np.nd
     return sets, key1, key2
 
 
-def cell(h: np.ndarray) -> np.ndarray:
-    return (h >> W.U(20)).astype(np.int64) & (SKETCH - 1)
+def sketch_cells(size: int) -> int:
+    """About one cell for 32 shingles of ``size`` bytes of text, 2**16 to 2**24 (16 MB of classes)."""
+    return 1 << min(max(16, int(size / 200).bit_length()), 24)
 
 
-def sketched(docs: DataFrame, k: int) -> np.ndarray:
-    """For each cell of the sketch the bit length of how many sets (of all documents) meet it. Fixed size."""
+def cell(h: np.ndarray, cells: int) -> np.ndarray:
+    return (h >> W.U(20)).astype(np.int64) & (cells - 1)
+
+
+def sketched(docs: DataFrame, k: int, cells: int) -> np.ndarray:
+    """A class for each cell of a count sketch over all documents: 0 for usual cells, more the more sets meet it."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(SKETCH, np.int64)
+        total = np.zeros(cells, np.uint32)
         for b in batches:
-            for i in range(0, b.num_rows, 1000):
-                sets, _, _ = shingles(b.column(0).slice(i, 1000), k)
-                total += np.bincount(cell(np.concatenate(sets)), minlength=SKETCH)
-        yield pa.RecordBatch.from_arrays([pa.array(range(16), pa.int32()), pa.array([x.tobytes() for x in total.reshape(16, -1)], pa.binary())], names=["part", "counts"])
+            for i in range(0, b.num_rows, 2000):
+                sets, _, _ = shingles(b.column(0).slice(i, 2000), k)
+                total += np.bincount(cell(np.concatenate(sets), cells), minlength=cells).astype(np.uint32)
+        squeeze = zstandard.ZstdCompressor().compress
+        parts = [squeeze(np.ascontiguousarray(x.view(np.uint8).reshape(-1, 4).T).tobytes()) for x in total.reshape(SKETCH_PARTS, -1)]
+        yield pa.RecordBatch.from_arrays([pa.array(range(SKETCH_PARTS), pa.int32()), pa.array(parts, pa.binary())], names=["part", "counts"])
 
-    def add(t: pa.Table) -> pa.Table:
-        total = sum(np.frombuffer(x, np.int64) for x in t["counts"].to_pylist())
-        return pa.table({"part": t["part"].slice(0, 1), "counts": pa.array([total.tobytes()], pa.binary())})
+    def counts(raw: bytes) -> np.ndarray:
+        return np.ascontiguousarray(np.frombuffer(zstandard.ZstdDecompressor().decompress(raw), np.uint8).reshape(4, -1).T).view("<u4").ravel()
 
-    kind = "part int, counts binary"
-    got = docs.select("text").mapInArrow(count, kind).groupBy("part").applyInArrow(add, kind).collect()  # 16 rows of 128 KB
-    total = np.zeros((16, SKETCH // 16), np.int64)
+    def add(t: pa.Table) -> pa.Table:
+        total = np.zeros(cells // SKETCH_PARTS, np.int64)
+        for x in t["counts"].to_pylist():
+            total += counts(x)
+        level = np.round(8 * np.log2(total + 1)).astype(np.uint8)
+        return pa.table({"part": t["part"].slice(0, 1), "level": pa.array([level.tobytes()], pa.binary())})
+
+    got = docs.select("text").mapInArrow(count, "part int, counts binary").groupBy("part").applyInArrow(add, "part int, level binary").collect()  # a byte a cell
+    level = np.zeros((SKETCH_PARTS, cells // SKETCH_PARTS), np.uint8)
     for r in got:
-        total[r["part"]] = np.frombuffer(r["counts"], np.int64)
-    total = total.ravel()
-    usual = max(1.0, float(np.median(total)))
-    return np.where(total > 4 * usual, np.ceil(np.log2(np.maximum(total, 1) / usual)), 0).astype(np.uint8)
+        level[r["part"]] = np.frombuffer(r["level"], np.uint8)
+    level = level.ravel()
+    usual = int(np.median(level)) + 8  # twice the median
+    return np.where(level > usual, level - usual, 0).astype(np.uint8)
 
 
 def bitmap(h: np.ndarray) -> bytes:
@@ -111,11 +124,13 @@ def bitmap(h: np.ndarray) -> bytes:
     return np.packbits(x, bitorder="little").tobytes()
 
 
-def signed(docs: DataFrame, k: int, percent: int, rarity: np.ndarray) -> DataFrame:
+def signed(docs: DataFrame, k: int, percent: int, classes: np.ndarray) -> DataFrame:
     """doc_id, k1, k2, n, prefix (8 bytes a shingle, in the common order), bits."""
     names = ["doc_id", "k1", "k2", "n", "prefix", "bits"]
+    shared = docs.sparkSession.sparkContext.broadcast(classes)  # a byte a cell
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rarity = shared.value
         for b in batches:
             for i in range(0, b.num_rows, 1000):
                 rows = b.slice(i, 1000)
@@ -123,7 +138,7 @@ def signed(docs: DataFrame, k: int, percent: int, rarity: np.ndarray) -> DataFra
                 prefix = []
                 for x in sets:
                     take = len(x) - -(-percent * len(x) // 100) + 1 if len(x) else 0
-                    prefix.append(x[np.argsort(rarity[cell(x)], kind="stable")[:take]].tobytes())
+                    prefix.append(x[np.argsort(rarity[cell(x, len(rarity))], kind="stable")[:take]].tobytes())
                 yield pa.RecordBatch.from_arrays([rows.column(0), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), pa.array([len(x) for x in sets], pa.int64()), pa.array(prefix, pa.binary()), pa.array([bitmap(x) for x in sets], pa.binary())], names=names)
 
     return docs.mapInArrow(run, "doc_id long, k1 long, k2 long, n long, prefix binary, bits binary")
@@ -263,13 +278,14 @@ def forest_pairs(percent: int):
             x = SignatureTree(n[i], b[i - lo], comp[i]) if len(i) else None
             y = SignatureTree(n[j], b[j - lo], comp[j]) if len(j) else None
             found = []
-            if x and chunk[lo] % 2 == 0:  # a chunk with itself
+            if x and chunk[lo] == 0:  # the host's own
                 p, q = traverse(x, x, percent, True)
                 found.append((i[p], i[q]))
             if x and y:
                 p, q = traverse(x, y, percent, False)
                 found.append((i[p], j[q]))
             for p, q in found:
+                p, q = p[rep[p] != rep[q]], q[rep[p] != rep[q]]
                 out_a.append(np.minimum(rep[p], rep[q])), out_b.append(np.maximum(rep[p], rep[q]))
         a, b = (np.concatenate(v) if v else np.zeros(0, np.int64) for v in (out_a, out_b))
         pairs = np.unique(np.stack([a, b], axis=1), axis=0) if len(a) else np.zeros((0, 2), np.int64)
@@ -278,6 +294,38 @@ def forest_pairs(percent: int):
     return run
 
 
+def search_units(found: DataFrame) -> DataFrame:
+    """group, chunk, own, rep, n, comp, bits: what is searched together.
+
+    A unit is a band of a shingle's group with, as guests, the next two bands (linked sizes are at most one band
+    apart; rounding may add one). Only units with two components are made. Where a band has
+    more than ``CHUNK`` sets, it is cut into chunks by a hash and each pair of chunks is a unit.
+    """
+    row = ["rep", "n", "comp", "bits"]
+    per = written(found.groupBy("h", "band").agg(F.count("*").alias("c"), F.min("comp").alias("lo"), F.max("comp").alias("hi")), "bands")
+    per = per.withColumn("chunks", F.ceil(F.col("c") / CHUNK).cast("long"))
+    # (h, at): a band as the host; (band): whose rows come, the host's own or a guest's
+    host = per.select("h", F.col("band").alias("at"), F.col("lo").alias("hlo"), F.col("hi").alias("hhi"), F.col("chunks").alias("hc"))
+    meets = per.withColumn("at", F.explode(F.array(F.col("band"), F.col("band") - 1, F.col("band") - 2))).join(host, ["h", "at"])
+    # a meeting is searched if it holds two components; guests alone are no reason
+    meets = meets.where("least(lo, hlo) != greatest(hi, hhi)").select("h", "band", "at", "chunks", "hc")
+    plain = meets.where("chunks = 1 AND hc = 1")
+    large = meets.where("chunks > 1 OR hc > 1")
+    # plain: guests' hosts must be there too, so own rows are sent once for each host that searches at all
+    hosts = plain.select("h", "at").distinct()
+    own = found.join(hosts.select("h", F.col("at").alias("band")), ["h", "band"]).select(F.xxhash64("h", "band").alias("group"), F.lit(0).alias("chunk"), F.lit(1).alias("own"), *row)
+    guests = found.join(plain.where("band != at").select("h", "band", "at"), ["h", "band"]).select(F.xxhash64("h", "at").alias("group"), F.lit(0).alias("chunk"), F.lit(0).alias("own"), *row)
+    mine = F.pmod(F.xxhash64("rep"), F.col("chunks"))
+    # large: host chunk x against guest chunk y
+    host_side = found.join(large.select("h", F.col("at").alias("band"), F.col("band").alias("other"), F.col("hc").alias("chunks"), F.col("chunks").alias("theirs")), ["h", "band"]).withColumn("x", mine)
+    host_side = host_side.select("h", F.col("band").alias("at"), "other", "x", F.explode(F.expr("sequence(0L, theirs - 1)")).alias("y"), F.lit(1).alias("own"), *row)
+    guest_side = found.join(large.select("h", "band", "at", "chunks", F.col("hc").alias("theirs")), ["h", "band"]).withColumn("y", mine)
+    guest_side = guest_side.select("h", "at", F.col("band").alias("other"), F.explode(F.expr("sequence(0L, theirs - 1)")).alias("x"), "y", F.lit(0).alias("own"), *row)
+    pairs = host_side.unionByName(guest_side).where("at != other OR x <= y")
+    chunked = pairs.select(F.xxhash64("h", "at", "other", "x", "y", F.lit(11)).alias("group"), F.lit(1).alias("chunk"), "own", *row)
+    return own.union(guests).union(chunked)
+
+
 # --- the join -----------------------------------------------------------------------------------
 
 
@@ -320,7 +368,7 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
     docs = docs.select(F.col("doc_id").cast("long"), "text")
     size = text_bytes(docs)
     buckets = n_buckets(size, 40)
-    sigs = written(signed(docs, k, percent, sketched(docs, k)), "signatures")
+    sigs = written(signed(docs, k, percent, sketched(docs, k, sketch_cells(size))), "signatures")
     classes = sigs.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.min_by(F.struct("n", "prefix", "bits"), "doc_id").alias("s"))
     reps = written(classes.select("k1", "k2", "rep", "s.*"), "classes").where("n > 0")
 
@@ -361,26 +409,7 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
 
     joined = blocks.join(flags.hint("shuffle_hash"), "block_id").select("payload", "flags")
     found = written(joined.mapInArrow(members, "h long, band long, rep long, n long, comp long, bits binary"), "members")
-    per = found.groupBy("h", "band").agg(F.count("*").alias("c"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
-    # a band meets itself and the next but one (rounding): who comes from below is a guest there
-    chunks = F.ceil(F.col("c") / CHUNK).cast("long")
-    owner = found.join(per.select("h", "band", chunks.alias("chunks")), ["h", "band"]).withColumn("mine", F.pmod(F.xxhash64("rep"), F.col("chunks")))
-    hosts = per.select("h", F.col("band").alias("at"), chunks.alias("chunks"))
-    row = ["rep", "n", "comp", "bits"]
-    # unit (h, band, x, y): own rows of chunk x against rows of chunk y of the same or another band
-    own = owner.select("h", "band", "mine", "chunks", *row)
-    self_units = own.select(F.xxhash64("h", "band", "mine").alias("group"), F.lit(0).alias("chunk"), F.lit(1).alias("own"), *row)
-    cross_own = own.where("chunks > 1").select("h", "band", F.col("mine").alias("x"), F.explode(F.expr("sequence(0, chunks - 1)")).alias("y"), *row).where("x != y")
-    cross_units = cross_own.select(F.xxhash64("h", "band", F.least("x", "y"), F.greatest("x", "y"), F.lit(7)).alias("group"), F.lit(1).alias("chunk"), F.when(F.col("x") < F.col("y"), 1).otherwise(0).alias("own"), *row)
-    near = None
-    for up in (1, 2):
-        other = hosts.withColumnRenamed("chunks", "theirs")
-        pairs = per.select("h", "band", chunks.alias("mine_n")).join(other, "h").where(F.col("at") == F.col("band") + up).select("h", "band", "at", "mine_n", "theirs")
-        low_side = own.join(pairs.select("h", "band", "at", "theirs"), ["h", "band"]).select("h", "band", "at", F.col("mine").alias("x"), F.explode(F.expr("sequence(0, theirs - 1)")).alias("y"), F.lit(1).alias("own"), *row)
-        high_side = own.withColumnRenamed("band", "at").join(pairs.select("h", "band", "at", "mine_n"), ["h", "at"]).select("h", "band", "at", F.explode(F.expr("sequence(0, mine_n - 1)")).alias("x"), F.col("mine").alias("y"), F.lit(0).alias("own"), *row)
-        units = low_side.unionByName(high_side).select(F.xxhash64("h", "band", "at", "x", "y", F.lit(11)).alias("group"), F.lit(1).alias("chunk"), "own", *row)
-        near = units if near is None else near.union(units)
-    units = self_units.union(cross_units).union(near)
+    units = search_units(found)
     tasks = max(64, buckets)
     searched = units.withColumn("task", F.pmod(F.col("group"), F.lit(tasks))).groupBy("task").applyInArrow(forest_pairs(percent), "a long, b long").distinct()
     more = verified(docs, written(searched, "pairs"), k, percent)
