@@ -102,6 +102,23 @@ def _unpack_words(raw: bytes) -> list[bytes]:
     return [raw[i:j] for i, j in zip(at[:-1], at[1:])]
 
 
+def _pack_ids(each: list[bytes]) -> bytes:
+    """Ids (four bytes each) of each word: counts, then the ids byte plane by byte plane."""
+    return _squeeze(len(each).to_bytes(4, "little") + np.array([len(x) // 4 for x in each], "<u2" if max(map(len, each)) < 1 << 18 else "<u4").tobytes() + _planes_of(np.frombuffer(b"".join(each), "<u4")) + (b"\2" if max(map(len, each)) < 1 << 18 else b"\4"))
+
+
+def _unpack_ids(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """(ids a word, all ids)."""
+    raw = _expand(raw)
+    n, wide = int.from_bytes(raw[:4], "little"), raw[-1]
+    counts = np.frombuffer(raw, f"<u{wide}", n, 4).astype(np.int64)
+    return counts, np.ascontiguousarray(np.frombuffer(raw, np.uint8, 4 * int(counts.sum()), 4 + wide * n).reshape(4, -1).T).view("<u4").ravel()
+
+
+def _planes_of(v: np.ndarray) -> bytes:
+    return np.ascontiguousarray(v.astype("<u4").view(np.uint8).reshape(-1, 4).T).tobytes()
+
+
 def _planes(v: np.ndarray) -> bytes:
     """Numbers byte plane by byte plane, squeezed."""
     return _squeeze(len(v).to_bytes(8, "little") + np.ascontiguousarray(v.astype("<u4").view(np.uint8).reshape(-1, 4).T).tobytes())
@@ -113,58 +130,70 @@ def _unplanes(raw: bytes) -> np.ndarray:
     return np.ascontiguousarray(np.frombuffer(raw, np.uint8, offset=8).reshape(4, n).T).view("<u4").ravel()
 
 
-KIND = "block_id long, bucket int, doc_ids binary, counts binary, body binary"
+def _blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, list, list[int], list[np.ndarray], list[bytes]]]:
+    """(block id, document ids, words a document, word numbers a document, words by number). Null texts count -1 words.
 
+    Depends on the partition's rows and their order alone.
+    """
+    part, seq = TaskContext.get().partitionId(), 0
+    first, later = _Numbers(), _Numbers()
+    keys, counts, flat, size = [], [], [], 0
+
+    def done():
+        table = [(" " + w).encode() for w in later] + [w.encode() for w in first]
+        numbers = [np.where(x < 0, len(later) - 1 - x, x) for x in flat]
+        return (part << 32) | seq, keys, counts, numbers, table
+
+    for b in batches:
+        for key, t in zip(b.column(0).to_pylist(), b.column(1)):
+            t = t.as_py()
+            if t:
+                w = words(t)
+                row = np.empty(len(w), np.int64)
+                row[0] = -1 - first[w[0]]
+                row[1:] = list(map(later.__getitem__, w[1:]))
+                flat.append(row)
+                size += len(t)
+            keys.append(key), counts.append(len(w) if t else 0 if t == "" else -1)
+            if size >= BLOCK_BYTES:
+                yield done()
+                seq, size, keys, counts, flat = seq + 1, 0, [], [], []
+                first, later = _Numbers(), _Numbers()
+    if keys:
+        yield done()
+
+
+def _dealt(table: list[bytes], buckets: int) -> list[tuple[int, list[int]]]:
+    """(bucket, numbers of its words in the words' order), by bucket: the order of a block's table."""
+    by: dict[int, list[int]] = {}
+    for k, w in enumerate(table):
+        by.setdefault(zlib.crc32(w) % buckets, []).append(k)
+    return [(b, sorted(by[b], key=table.__getitem__)) for b in sorted(by)]
+
+
+def block_words(docs: DataFrame, buckets: int) -> DataFrame:
+    """block_id, bucket, body: the distinct words of each block by bucket."""
 
-def blocks_of(docs: DataFrame, buckets: int) -> DataFrame:
-    """Rows of two kinds: bucket -1 is a block (ids, words a document, word numbers), others its words of a bucket.
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for bid, _, _, _, table in _blocks(batches):
+            dealt = _dealt(table, buckets)
+            yield pa.RecordBatch.from_arrays([pa.array([bid] * len(dealt), pa.int64()), pa.array([b for b, _ in dealt], pa.int32()), pa.array([_pack_words([table[k] for k in some]) for _, some in dealt], pa.binary())], names=["block_id", "bucket", "body"])
 
-    Word numbers follow the order (bucket, first use), so that the buckets' answers in order
-    are the block's table.
-    """
+    return docs.mapInArrow(run, "block_id long, bucket int, body binary")
+
+
+def block_positions(docs: DataFrame, buckets: int) -> DataFrame:
+    """block_id, doc_ids, counts, body: which word of the block's table stands at each place, and how many words there are."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, seq = TaskContext.get().partitionId(), 0
-        first, later = _Numbers(), _Numbers()
-        keys, counts, flat, size = [], [], [], 0
-
-        def done() -> Iterator[pa.RecordBatch]:
-            nonlocal seq, size
-            table = [(" " + w).encode() for w in later] + [w.encode() for w in first]
-            where = np.array([zlib.crc32(w) % buckets for w in table], np.int64)
-            order = np.argsort(where, kind="stable")
+        for bid, keys, counts, flat, table in _blocks(batches):
+            order = [k for _, some in _dealt(table, buckets) for k in some]
             number = np.empty(len(table), np.uint32)
             number[order] = np.arange(len(table))
-            numbers = np.concatenate(flat) if flat else np.zeros(0, np.int64)
-            numbers = number[np.where(numbers < 0, len(later) - 1 - numbers, numbers)] if len(numbers) else np.zeros(0, np.uint32)
-            ids = pack_ids(keys)
-            some, begin = np.unique(where[order], return_index=True)
-            begin = np.append(begin, len(order)).tolist()
-            bid = (part << 32) | seq
-            b = [-1, *some.tolist()]
-            bodies = [_planes(numbers), *(_pack_words([table[x] for x in order[i:j].tolist()]) for i, j in zip(begin[:-1], begin[1:]))]
-            yield pa.RecordBatch.from_arrays([pa.array([bid] * len(b), pa.int64()), pa.array(b, pa.int32()), pa.array([ids, *[None] * len(some)], pa.binary()), pa.array([np.array(counts, "<i8").tobytes(), *[None] * len(some)], pa.binary()), pa.array(bodies, pa.binary())], names=["block_id", "bucket", "doc_ids", "counts", "body"])
-            seq, size = seq + 1, 0
-            for x in (first, later, keys, counts, flat):
-                x.clear()
+            numbers = number[np.concatenate(flat)] if flat else np.zeros(0, np.uint32)
+            yield pa.RecordBatch.from_arrays([pa.array([bid], pa.int64()), pa.array([len(table)], pa.int64()), pa.array([pack_ids(keys)], pa.binary()), pa.array([np.array(counts, "<i8").tobytes()], pa.binary()), pa.array([_planes(numbers)], pa.binary())], names=["block_id", "n_words", "doc_ids", "counts", "body"])
 
-        for b in batches:
-            for key, t in zip(b.column(0).to_pylist(), b.column(1)):
-                t = t.as_py()
-                if t:
-                    w = words(t)
-                    row = np.empty(len(w), np.int64)
-                    row[0] = -1 - first[w[0]]
-                    row[1:] = list(map(later.__getitem__, w[1:]))
-                    flat.append(row)
-                    size += len(t)
-                keys.append(key), counts.append(len(w) if t else 0 if t == "" else -1)
-                if size >= BLOCK_BYTES:
-                    yield from done()
-        if keys:
-            yield from done()
-
-    return docs.mapInArrow(run, KIND)
+    return docs.mapInArrow(run, "block_id long, n_words long, doc_ids binary, counts binary, body binary")
 
 
 def pack_ids(keys: list) -> bytes:
@@ -194,7 +223,7 @@ def answers(words_: DataFrame, path: str, pattern: str) -> DataFrame:
                 if got is None:
                     got = known[w] = np.array(encode(w.decode()), "<u4").tobytes()
                 ids.append(got)
-            out.append(_pack_words(ids))
+            out.append(_pack_ids(ids))
         return pa.table({"block_id": t["block_id"], "bucket": t["bucket"], "ids": pa.array(out, pa.binary())})
 
     back = words_.groupBy("bucket").applyInArrow(one, "block_id long, bucket int, ids binary")
@@ -208,12 +237,20 @@ def _gather(flat: np.ndarray, begin: np.ndarray, size: np.ndarray, numbers: np.n
     return flat[np.repeat(begin[numbers] - (end - n), n) + np.arange(end[-1] if len(end) else 0)], end
 
 
-def encode_documents(docs: DataFrame, path: str, pattern: str, doc_id: str = "doc_id", text: str = "text", digest: bool = False) -> DataFrame:
-    """doc_id, n_tokens and ids (array<int>; null for a null text), or ids_sha256 and decoded_sha256."""
+def encode_documents(docs: DataFrame, path: str, pattern: str, doc_id: str = "doc_id", text: str = "text", digest: bool = False, stable: bool = True) -> DataFrame:
+    """doc_id, n_tokens and ids (array<int>; null for a null text), or ids_sha256 and decoded_sha256.
+
+    stable: ``docs`` gives the same rows in the same partitions each time it is read (a scan of files, a written table),
+    so that blocks can be made twice, once for their words and once for the positions, instead of being kept on
+    disk between. Anything else (after a shuffle, say) must set it to False and is written first. A block whose
+    words and positions disagree stops the job.
+    """
     buckets = n_buckets(text_bytes(docs, text), 60, 60_000)
-    rows = written(blocks_of(docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")), buckets), "bpe")
-    table = answers(rows.where("bucket >= 0").select("block_id", "bucket", "body"), path, pattern)
-    joined = rows.where("bucket < 0").join(table.hint("shuffle_hash"), "block_id", "left").select("doc_ids", "counts", "body", "table")
+    rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
+    if not stable:
+        rows = written(rows, "texts")
+    table = answers(block_words(rows, buckets), path, pattern)
+    joined = block_positions(rows, buckets).join(table.hint("shuffle_hash"), "block_id", "left").select("doc_ids", "counts", "body", "table", "n_words")
     schema = "doc_id long, n_tokens long, " + ("ids_sha256 string, decoded_sha256 string" if digest else "ids array<int>")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -222,10 +259,11 @@ def encode_documents(docs: DataFrame, path: str, pattern: str, doc_id: str = "do
             for k in range(b.num_rows):
                 keys, counts = _keys(b.column(0)[k].as_py()), np.frombuffer(b.column(1)[k].as_py(), "<i8")
                 numbers = _unplanes(b.column(2)[k].as_py())
-                each = [_expand(e["ids"]) for e in sorted(b.column(3)[k].as_py() or (), key=lambda e: e["bucket"])]
-                size = [np.frombuffer(x, "<u4", int.from_bytes(x[:4], "little"), 4) for x in each]
-                flat = np.concatenate([np.frombuffer(x, "<u4", offset=4 + 4 * len(s)) for x, s in zip(each, size)]) if each else np.zeros(0, np.uint32)
-                size = np.concatenate(size).astype(np.int64) // 4 if size else np.zeros(0, np.int64)
+                each = [_unpack_ids(e["ids"]) for e in sorted(b.column(3)[k].as_py() or (), key=lambda e: e["bucket"])]
+                size = np.concatenate([n for n, _ in each]) if each else np.zeros(0, np.int64)
+                flat = np.concatenate([x for _, x in each]) if each else np.zeros(0, np.uint32)
+                if len(size) != b.column(4)[k].as_py():
+                    raise RuntimeError("a block's words and positions disagree: docs is not stable")
                 begin = np.cumsum(size) - size
                 at = np.concatenate([[0], np.cumsum(np.maximum(counts, 0))])
                 for i in range(0, len(counts), 256):
