@@ -1,0 +1 @@
+"""Offset structures: where each vertex's list starts."""

@@ -4,8 +4,9 @@ from __future__ import annotations
 
 from .adjacency import permute
 from .fine import relabel, sizes
+from .offsets import access as offset_access
 
-MODULES = (sizes, relabel, permute)
+MODULES = (sizes, relabel, permute, offset_access)
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 
