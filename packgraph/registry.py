@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 from .adjacency import permute
+from .algos import traverse
+from .core import compressed
 from .fine import relabel, sizes
 from .offsets import access as offset_access
 
-MODULES = (sizes, relabel, permute, offset_access)
+MODULES = (sizes, relabel, permute, offset_access, compressed, traverse)
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 
