@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-from .adjacency import permute
+from .adjacency import arrange, bisect, permute
 from .algos import traverse
 from .core import compressed
 from .fine import relabel, sizes
 from .offsets import access as offset_access
 
-MODULES = (sizes, relabel, permute, offset_access, compressed, traverse)
+MODULES = (sizes, relabel, permute, offset_access, compressed, traverse, arrange, bisect)
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 
