@@ -88,7 +88,7 @@ def measured(docs: DataFrame, text: str, keep: dict[str, str]) -> DataFrame:
     names = [*keep.values(), *MEASURES, "n_lines"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (x for b in batches for x in W.bites(b, 0)):
             m = measure(b.column(0))
             yield pa.RecordBatch.from_arrays([*b.columns[1:], *(pa.array(m[k], pa.int64()) for k in names[len(keep) :])], names=names)
 
@@ -146,7 +146,7 @@ def filter_hosts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", ho
     (flag,) = fresh(docs, "_ok")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (x for b in batches for x in W.bites(b, b.schema.get_field_index(text))):
             m = measure(b.column(b.schema.get_field_index(text)))
             ok = (m["n_words"] >= rules.min_words) & (100 * m["n_repeat_words"] <= rules.max_repeat_percent * m["n_words"])
             yield b.filter(pa.array(ok))

@@ -90,8 +90,8 @@ def sketched(docs: DataFrame, k: int, cells: int) -> np.ndarray:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(cells, np.uint32)
         for b in batches:
-            for i in range(0, b.num_rows, 2000):
-                sets, _, _ = shingles(b.column(0).slice(i, 2000), k)
+            for rows in W.bites(b, 0, 8 << 20):
+                sets, _, _ = shingles(rows.column(0), k)
                 total += np.bincount(cell(np.concatenate(sets), cells), minlength=cells).astype(np.uint32)
         squeeze = zstandard.ZstdCompressor().compress
         parts = [squeeze(np.ascontiguousarray(x.view(np.uint8).reshape(-1, 4).T).tobytes()) for x in total.reshape(SKETCH_PARTS, -1)]
@@ -132,8 +132,7 @@ def signed(docs: DataFrame, k: int, percent: int, classes: np.ndarray) -> DataFr
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rarity = shared.value
         for b in batches:
-            for i in range(0, b.num_rows, 1000):
-                rows = b.slice(i, 1000)
+            for rows in W.bites(b, 1):
                 sets, k1, k2 = shingles(rows.column(1), k)
                 prefix = []
                 for x in sets:
@@ -165,8 +164,7 @@ def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFra
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for i in range(0, b.num_rows, 1000):
-                rows = b.slice(i, 1000)
+            for rows in W.bites(b, 1):
                 yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([low(x) for x in shingles(rows.column(1), k)[0]], pa.binary())], names=["doc_id", "h"])
 
     sets = written(wanted.select("doc_id", "text").dropDuplicates(["doc_id"]).mapInArrow(make, "doc_id long, h binary"), "sets") if some > BROADCAST_IDS else written(wanted.select("doc_id", "text").mapInArrow(make, "doc_id long, h binary"), "sets")

@@ -128,8 +128,7 @@ def train(docs: DataFrame, labels: DataFrame, metadata: tuple[str, ...] = (), ro
 
     def extract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for i in range(0, b.num_rows, 500):
-                part = b.slice(i, 500)
+            for part in W.bites(b, 1):
                 r, f, v = features(part.column(1), part.columns[2:])
                 cut = np.searchsorted(r, np.arange(part.num_rows + 1))
                 yield pa.RecordBatch.from_arrays([part.column(0).cast(pa.int64()), pa.array([f[x:y].astype("<i4").tobytes() for x, y in zip(cut[:-1], cut[1:])], pa.binary()), pa.array([v[x:y].astype("<f4").tobytes() for x, y in zip(cut[:-1], cut[1:])], pa.binary())], names=["label", "f", "v"])
@@ -157,8 +156,7 @@ def scored(docs: DataFrame, machine: FactorisationMachine, metadata: tuple[str,
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         for b in batches:
-            for i in range(0, b.num_rows, 1000):
-                part = b.slice(i, 1000)
+            for part in W.bites(b, 1):
                 z = m.logits(*features(part.column(1), part.columns[2:]), part.num_rows)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(1 / (1 + np.exp(-np.clip(z, -30, 30))), pa.float64())], names=["doc_id", "score"])
 

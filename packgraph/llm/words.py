@@ -33,6 +33,16 @@ def column_bytes(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, off - off[0]
 
 
+def bites(batch: pa.RecordBatch, column: int, most_bytes: int = 4 << 20, most_rows: int = 2000):
+    """Slices of the batch of at most so many bytes of text (or one row), so that a kernel's arrays stay small."""
+    off = column_bytes(batch.column(column))[1]
+    i = 0
+    while i < batch.num_rows:
+        j = min(max(i + 1, int(np.searchsorted(off, off[i] + most_bytes, "right")) - 1), i + most_rows)
+        yield batch.slice(i, j - i)
+        i = j
+
+
 def spans(data: np.ndarray, off: np.ndarray, separators: np.ndarray = SEPARATORS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(starts, ends, first word of each document and the total) of the words."""
     n = len(data)
