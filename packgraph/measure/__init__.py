@@ -1,0 +1 @@
+"""Cost and accuracy measures: bounds, theory, access cost, communication, timing."""

@@ -5,10 +5,12 @@ from __future__ import annotations
 from .adjacency import arrange, bisect, permute
 from .algos import traverse
 from .core import compressed
+from .graphs import generate
+from .measure import bounds, comm
 from .fine import relabel, sizes
 from .offsets import access as offset_access
 
-MODULES = (sizes, relabel, permute, offset_access, compressed, traverse, arrange, bisect)
+MODULES = (sizes, relabel, permute, offset_access, compressed, traverse, arrange, bisect, bounds, comm, generate)
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 
