@@ -1,0 +1 @@
+"""Scalar functions and the SQL surface."""

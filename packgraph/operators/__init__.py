@@ -1,0 +1 @@
+"""Relational operators over graphs: joins, aggregations, windows, sets, orders."""

@@ -1,0 +1 @@
+"""Checks on physical plans."""

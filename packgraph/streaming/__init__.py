@@ -1,0 +1 @@
+"""Streams of edges."""
