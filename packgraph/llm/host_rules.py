@@ -27,6 +27,10 @@ SYMBOLS[list(b"#*$%&|<>")] = True
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 
 
+#: Up to so many bad hosts (a few MB of names) are broadcast; more are joined by a shuffle.
+BROADCAST_HOSTS = 100_000
+
+
 @dataclass(frozen=True)
 class HostRules:
     """Thresholds. A document fails a rule by its own measures; a host is judged by its documents."""
@@ -142,8 +146,8 @@ def filter_hosts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", ho
     hosts' verdicts are too large to broadcast.
     """
     verdicts = judged(written(measured(docs, text, {host: "host"}), "measures"), rules)
-    bad = verdicts.where(F.col("host_rate") >= rules.max_host_rate).select(F.col("host").alias("_host")).distinct()
-    (flag,) = fresh(docs, "_ok")
+    (name,) = fresh(docs, "_host")
+    bad = verdicts.where(F.col("host_rate") >= rules.max_host_rate).select(F.col("host").alias(name)).distinct()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in (x for b in batches for x in W.bites(b, b.schema.get_field_index(text))):
@@ -152,7 +156,10 @@ def filter_hosts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", ho
             yield b.filter(pa.array(ok))
 
     good = docs.mapInArrow(run, docs.schema)
-    return good.join(bad, F.col(f"`{host}`").eqNullSafe(F.col("_host")), "left_anti")
+    many = bad.count()
+    if not many:
+        return good
+    return good.join(F.broadcast(bad) if many <= BROADCAST_HOSTS else bad, F.col(f"`{host}`").eqNullSafe(F.col(name)), "left_anti")
 
 
 def op9_host_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

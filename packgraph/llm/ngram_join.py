@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import words as W
-from .common import components, exchange_flags, text_bytes, to_blocks, unpack, written
+from .common import components, drop, exchange_flags, reclaim, text_bytes, to_blocks, unpack, written
 from .substring_dedup import deal, flags_of, n_buckets
 
 SKETCH_PARTS = 64
@@ -368,7 +368,10 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
     buckets = n_buckets(size, 40)
     sigs = written(signed(docs, k, percent, sketched(docs, k, sketch_cells(size))), "signatures")
     classes = sigs.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.min_by(F.struct("n", "prefix", "bits"), "doc_id").alias("s"))
-    reps = written(classes.select("k1", "k2", "rep", "s.*"), "classes").where("n > 0")
+    classes = written(classes.select("k1", "k2", "rep", "s.*"), "classes")
+    reps = classes.where("n > 0")
+    members_ = written(sigs.select("doc_id", "k1", "k2", "n"), "sizes")  # what the result needs of all rows
+    drop(sigs)
 
     # the first shingles of each set against the smallest id that has them first, too
     head = F.expr(f"filter(array({', '.join(f'substring(prefix, {8 * i + 1}, 8)' for i in range(EARLY))}), x -> length(x) = 8)")
@@ -380,6 +383,9 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
 
     with_comp = reps.join(known, reps["rep"] == known["id"], "left").select("rep", "n", "prefix", "bits", F.coalesce("root", "rep").alias("comp"))
     blocks = to_blocks(with_comp, name="prefixes")
+    keys = written(reps.select("k1", "k2", "rep"), "keys")
+    drop(classes)
+    reclaim(docs.sparkSession)
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -407,13 +413,17 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
 
     joined = blocks.join(flags.hint("shuffle_hash"), "block_id").select("payload", "flags")
     found = written(joined.mapInArrow(members, "h long, band long, rep long, n long, comp long, bits binary"), "members")
+    drop(blocks)
     units = search_units(found)
     tasks = max(64, buckets)
     searched = units.withColumn("task", F.pmod(F.col("group"), F.lit(tasks))).groupBy("task").applyInArrow(forest_pairs(percent), "a long, b long").distinct()
-    more = verified(docs, written(searched, "pairs"), k, percent)
+    searched = written(searched, "pairs")
+    drop(found)
+    reclaim(docs.sparkSession)
+    more = verified(docs, searched, k, percent)
     final = components(links.unionByName(written(more, "links")))
-    labelled = reps.select("k1", "k2", "rep").join(final, F.col("rep") == final["id"], "left").select("k1", "k2", "rep", F.coalesce("root", "rep").alias("component_id"))
-    out = sigs.select("doc_id", "k1", "k2", F.col("n").alias("n_shingles")).join(labelled, ["k1", "k2"], "left")
+    labelled = keys.join(final, keys["rep"] == final["id"], "left").select("k1", "k2", "rep", F.coalesce("root", "rep").alias("component_id"))
+    out = members_.select("doc_id", "k1", "k2", F.col("n").alias("n_shingles")).join(labelled, ["k1", "k2"], "left")
     return out.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), F.coalesce("rep", "doc_id").alias("rep"))
 
 
