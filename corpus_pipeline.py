@@ -6,10 +6,12 @@ data flow alone makes decisions: a stage sees only what the one before kept.
 
 from __future__ import annotations
 
+import functools
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
-from packgraph.llm.common import written
+from packgraph.llm.common import remove, shared_folder, tables
 from packgraph.llm.host_rules import filter_hosts
 from packgraph.llm.line_dedup import dedup_lines
 from packgraph.llm.ngram_join import jaccard_components
@@ -18,16 +20,36 @@ from packgraph.llm.substring_dedup import remove_substrings
 from packgraph.session import ship
 
 
+_left: list[str] = []
+
+
+def _stage(f):
+    """A stage that first removes what the stage before it left in the shared folder: that one's result is stored by now."""
+
+    @functools.wraps(f)
+    def run(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        remove(spark, _left)
+        before = set(tables())
+        out = f(spark, docs, sf_dir)
+        _left[:] = [path for path in tables() if path not in before]
+        return out
+
+    return run
+
+
+@_stage
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that fail their own or their host's rules go."""
     return filter_hosts(docs)
 
 
+@_stage
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One line of each group of similar lines stays; a document may lose all of its lines and stays, empty."""
     return dedup_lines(docs).select(*docs.columns)
 
 
+@_stage
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the smallest id of each group linked at 0.8 on five-word shingles stays, and every empty one."""
     groups = jaccard_components(docs.select("doc_id", "text"), k=5, percent=80)
@@ -35,11 +57,13 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 
 
+@_stage
 def substring_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages of 35 words or more that occur again are taken out."""
     return remove_substrings(docs)
 
 
+@_stage
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of what is left, in sequences of 2048."""
     import public_tokenizers
@@ -57,5 +81,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     for k, (name, stage) in enumerate(STAGES):
         docs = stage(ship(spark), docs, sf_dir)
         if k < len(STAGES) - 1:
-            docs = written(docs, f"stage{k}")
+            path = f"{shared_folder(spark)}/packgraph-stage-{uuid.uuid4().hex}"
+            docs.write.parquet(path)
+            docs = spark.read.parquet(path)
     return docs
