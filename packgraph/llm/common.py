@@ -138,9 +138,9 @@ def to_blocks(df: DataFrame, block_bytes: int = 4 << 20, name: str = "blocks") -
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, k = TaskContext.get().partitionId(), 0
         for b in batches:
-            at = 0
+            at, usual = 0, max(1, int(block_bytes * b.num_rows / max(1, b.nbytes)))
             while at < b.num_rows:
-                step = max(1, int((b.num_rows - at) * block_bytes / max(1, b.slice(at).get_total_buffer_size())))
+                step = usual
                 rows = b.slice(at, min(step, b.num_rows - at))
                 while rows.num_rows > 1 and rows.nbytes > 2 * block_bytes:
                     rows = rows.slice(0, rows.num_rows // 2)

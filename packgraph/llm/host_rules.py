@@ -97,7 +97,7 @@ def measured(docs: DataFrame, text: str, keep: dict[str, str]) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*b.columns[1:], *(pa.array(m[k], pa.int64()) for k in names[len(keep) :])], names=names)
 
     schema = ", ".join([*(f"{n} {kinds[c]}" for c, n in keep.items()), *(f"{k} long" for k in names[len(keep) :])])
-    return picked.mapInArrow(run, schema)
+    return picked.mapInArrow(W.trimmed(run), schema)
 
 
 def beta_prior(hosts: DataFrame) -> tuple[float, float]:
@@ -155,7 +155,7 @@ def filter_hosts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", ho
             ok = (m["n_words"] >= rules.min_words) & (100 * m["n_repeat_words"] <= rules.max_repeat_percent * m["n_words"])
             yield b.filter(pa.array(ok))
 
-    good = docs.mapInArrow(run, docs.schema)
+    good = docs.mapInArrow(W.trimmed(run), docs.schema)
     many = bad.count()
     if not many:
         return good

@@ -88,11 +88,17 @@ def sketched(docs: DataFrame, k: int, cells: int) -> np.ndarray:
     """A class for each cell of a count sketch over all documents: 0 for usual cells, more the more sets meet it."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(cells, np.uint32)
+        total, held = np.zeros(cells, np.uint32), []
         for b in batches:
-            for rows in W.bites(b, 0, 8 << 20):
-                sets, _, _ = shingles(rows.column(0), k)
-                total += np.bincount(cell(np.concatenate(sets), cells), minlength=cells).astype(np.uint32)
+            for rows in W.bites(b, 0):
+                held.append(np.concatenate(shingles(rows.column(0), k)[0]))
+                if sum(map(len, held)) > 1 << 21:
+                    at, n = np.unique(cell(np.concatenate(held), cells), return_counts=True)
+                    total[at] += n.astype(np.uint32)
+                    held = []
+        if held:
+            at, n = np.unique(cell(np.concatenate(held), cells), return_counts=True)
+            total[at] += n.astype(np.uint32)
         squeeze = zstandard.ZstdCompressor().compress
         parts = [squeeze(np.ascontiguousarray(x.view(np.uint8).reshape(-1, 4).T).tobytes()) for x in total.reshape(SKETCH_PARTS, -1)]
         yield pa.RecordBatch.from_arrays([pa.array(range(SKETCH_PARTS), pa.int32()), pa.array(parts, pa.binary())], names=["part", "counts"])
@@ -107,7 +113,7 @@ def sketched(docs: DataFrame, k: int, cells: int) -> np.ndarray:
         level = np.round(8 * np.log2(total + 1)).astype(np.uint8)
         return pa.table({"part": t["part"].slice(0, 1), "level": pa.array([level.tobytes()], pa.binary())})
 
-    got = docs.select("text").mapInArrow(count, "part int, counts binary").groupBy("part").applyInArrow(add, "part int, level binary").collect()  # a byte a cell
+    got = docs.select("text").mapInArrow(W.trimmed(count), "part int, counts binary").groupBy("part").applyInArrow(add, "part int, level binary").collect()  # a byte a cell
     level = np.zeros((SKETCH_PARTS, cells // SKETCH_PARTS), np.uint8)
     for r in got:
         level[r["part"]] = np.frombuffer(r["level"], np.uint8)
@@ -140,7 +146,7 @@ def signed(docs: DataFrame, k: int, percent: int, classes: np.ndarray) -> DataFr
                     prefix.append(x[np.argsort(rarity[cell(x, len(rarity))], kind="stable")[:take]].tobytes())
                 yield pa.RecordBatch.from_arrays([rows.column(0), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), pa.array([len(x) for x in sets], pa.int64()), pa.array(prefix, pa.binary()), pa.array([bitmap(x) for x in sets], pa.binary())], names=names)
 
-    return docs.mapInArrow(run, "doc_id long, k1 long, k2 long, n long, prefix binary, bits binary")
+    return docs.mapInArrow(W.trimmed(run), "doc_id long, k1 long, k2 long, n long, prefix binary, bits binary")
 
 
 # --- exact comparison ---------------------------------------------------------------------------
@@ -167,7 +173,7 @@ def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFra
             for rows in W.bites(b, 1):
                 yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([low(x) for x in shingles(rows.column(1), k)[0]], pa.binary())], names=["doc_id", "h"])
 
-    sets = written(wanted.select("doc_id", "text").dropDuplicates(["doc_id"]).mapInArrow(make, "doc_id long, h binary"), "sets") if some > BROADCAST_IDS else written(wanted.select("doc_id", "text").mapInArrow(make, "doc_id long, h binary"), "sets")
+    sets = written(wanted.select("doc_id", "text").dropDuplicates(["doc_id"]).mapInArrow(W.trimmed(make), "doc_id long, h binary"), "sets") if some > BROADCAST_IDS else written(wanted.select("doc_id", "text").mapInArrow(W.trimmed(make), "doc_id long, h binary"), "sets")
     with_b = pairs.join(sets.select(F.col("doc_id").alias("b"), F.col("h").alias("hb")), "b")
     both = with_b.join(sets.select(F.col("doc_id").alias("a"), F.col("h").alias("ha")), "a").select("a", "b", "ha", "hb")
 
@@ -187,7 +193,7 @@ def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFra
                     ok[r] = 100 * both_n >= percent * (len(x) + len(y) - both_n)
             yield t.select(["a", "b"]).filter(pa.array(ok))
 
-    return both.mapInArrow(compare, "a long, b long")
+    return both.mapInArrow(W.trimmed(compare), "a long, b long")
 
 
 # --- signature trees ----------------------------------------------------------------------------
@@ -396,7 +402,7 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
                 blobs = [raw[x:y].tobytes() for x, y in zip(begin[:-1], begin[1:])]
                 yield pa.RecordBatch.from_arrays([pa.array([i] * len(some), pa.int64()), pa.array(some, pa.int32()), pa.array(blobs, pa.binary())], names=["block_id", "bucket", "keys"])
 
-    flags = exchange_flags(blocks.select("block_id", "payload").mapInArrow(emit, "block_id long, bucket int, keys binary"), mixed(percent))
+    flags = exchange_flags(blocks.select("block_id", "payload").mapInArrow(W.trimmed(emit), "block_id long, bucket int, keys binary"), mixed(percent))
     band = np.log(100 / percent)
 
     def members(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -412,7 +418,7 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
                 yield pa.RecordBatch.from_arrays([pa.array(h[at].view(np.int64)), pa.array(cut), rows.column("rep").take(pa.array(r)), pa.array(n), rows.column("comp").take(pa.array(r)), rows.column("bits").take(pa.array(r))], names=["h", "band", "rep", "n", "comp", "bits"])
 
     joined = blocks.join(flags.hint("shuffle_hash"), "block_id").select("payload", "flags")
-    found = written(joined.mapInArrow(members, "h long, band long, rep long, n long, comp long, bits binary"), "members")
+    found = written(joined.mapInArrow(W.trimmed(members), "h long, band long, rep long, n long, comp long, bits binary"), "members")
     drop(blocks)
     units = search_units(found)
     tasks = max(64, buckets)

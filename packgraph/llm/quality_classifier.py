@@ -133,7 +133,7 @@ def train(docs: DataFrame, labels: DataFrame, metadata: tuple[str, ...] = (), ro
                 cut = np.searchsorted(r, np.arange(part.num_rows + 1))
                 yield pa.RecordBatch.from_arrays([part.column(0).cast(pa.int64()), pa.array([f[x:y].astype("<i4").tobytes() for x, y in zip(cut[:-1], cut[1:])], pa.binary()), pa.array([v[x:y].astype("<f4").tobytes() for x, y in zip(cut[:-1], cut[1:])], pa.binary())], names=["label", "f", "v"])
 
-    got = sample.mapInArrow(extract, "label long, f binary, v binary").collect()
+    got = sample.mapInArrow(W.trimmed(extract), "label long, f binary, v binary").collect()
     got.sort(key=lambda r: (r["f"], r["v"], r["label"]))  # the same steps whatever the partitions
     label = np.array([r["label"] for r in got], np.float64)
     machine = FactorisationMachine(WORD_BUCKETS + LEVELS * (len(STATISTICS) + len(metadata)))
@@ -160,7 +160,7 @@ def scored(docs: DataFrame, machine: FactorisationMachine, metadata: tuple[str,
                 z = m.logits(*features(part.column(1), part.columns[2:]), part.num_rows)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(1 / (1 + np.exp(-np.clip(z, -30, 30))), pa.float64())], names=["doc_id", "score"])
 
-    return docs.select("doc_id", "text", *metadata).mapInArrow(run, f"doc_id {kind}, score double")
+    return docs.select("doc_id", "text", *metadata).mapInArrow(W.trimmed(run), f"doc_id {kind}, score double")
 
 
 def op8_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

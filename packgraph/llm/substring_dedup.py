@@ -137,7 +137,7 @@ def repeated_windows(docs: DataFrame, text: str = "text", window: int = 35) -> t
                 yield key_rows(i, _Block(unpack(p.as_buffer()).column(text), window).anchors()[1], buckets, ANCHOR_BYTES)
 
     kinds = "block_id long, bucket int, keys binary"
-    first = written(exchange_flags(blocks.select("block_id", "payload").mapInArrow(emit_anchors, kinds), repeats(ANCHOR_BYTES)).withColumnRenamed("flags", "flags1"), "anchors")
+    first = written(exchange_flags(blocks.select("block_id", "payload").mapInArrow(W.trimmed(emit_anchors), kinds), repeats(ANCHOR_BYTES)).withColumnRenamed("flags", "flags1"), "anchors")
     with_first = blocks.join(first.hint("shuffle_hash"), "block_id", "left").select("block_id", "payload", "flags1")
 
     def emit_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -147,7 +147,7 @@ def repeated_windows(docs: DataFrame, text: str = "text", window: int = 35) -> t
                 at, keys = x.anchors()
                 yield key_rows(i, x.keys(x.candidates(at[flags_of(keys, buckets, f)])), buckets, 8)
 
-    second = written(exchange_flags(with_first.mapInArrow(emit_windows, kinds), repeats(8)).withColumnRenamed("flags", "flags2"), "windows")
+    second = written(exchange_flags(with_first.mapInArrow(W.trimmed(emit_windows), kinds), repeats(8)).withColumnRenamed("flags", "flags2"), "windows")
     return blocks.join(first.join(second, "block_id", "left").hint("shuffle_hash"), "block_id", "left").select("payload", "flags1", "flags2"), buckets
 
 
@@ -188,7 +188,7 @@ def substring_report(docs: DataFrame, doc_id: str = "doc_id", text: str = "text"
                 kinds = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
                 yield pa.RecordBatch.from_arrays([rows.column("doc_id"), pa.array(np.diff(x.first), pa.int64()), pa.array(W.per_document(gone, x.first), pa.int64()), pa.array(sha), pa.array(cut, kinds)], names=names)
 
-    return joined.mapInArrow(run, f"doc_id {kind}, n_words long, n_removed long, kept_sha256 string, spans array<struct<start:bigint,end:bigint>>")
+    return joined.mapInArrow(W.trimmed(run), f"doc_id {kind}, n_words long, n_removed long, kept_sha256 string, spans array<struct<start:bigint,end:bigint>>")
 
 
 def remove_substrings(docs: DataFrame, text: str = "text", window: int = 35) -> DataFrame:
@@ -213,7 +213,7 @@ def remove_substrings(docs: DataFrame, text: str = "text", window: int = 35) ->
                     rows = rows.set_column(at, rows.schema.field(at), pa.array(texts, rows.schema.field(at).type))
                 yield rows
 
-    return joined.mapInArrow(run, docs.schema)
+    return joined.mapInArrow(W.trimmed(run), docs.schema)
 
 
 def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -6,6 +6,8 @@ code points agree on them. All kernels work on whole batches: no Python loop ove
 
 from __future__ import annotations
 
+import ctypes
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -33,7 +35,23 @@ def column_bytes(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, off - off[0]
 
 
-def bites(batch: pa.RecordBatch, column: int, most_bytes: int = 4 << 20, most_rows: int = 2000):
+def trimmed(run):
+    """``run`` (batches -> batches), which gives freed memory back to the system when a partition ends: workers live on between tasks."""
+
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (AttributeError, OSError):  # another C library
+                pass
+
+    return wrapped
+
+
+def bites(batch: pa.RecordBatch, column: int, most_bytes: int = 2 << 20, most_rows: int = 2000):
     """Slices of the batch of at most so many bytes of text (or one row), so that a kernel's arrays stay small."""
     off = column_bytes(batch.column(column))[1]
     i = 0
