@@ -1,0 +1 @@
+"""Experiments re-expressed on the given tables."""

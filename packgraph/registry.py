@@ -5,6 +5,7 @@ from __future__ import annotations
 from .adjacency import arrange, bisect, permute
 from .algos import traverse
 from .core import compressed
+from .exp import adjacency as exp_adjacency
 from .graphs import generate
 from .functions import scalars, sql_surface
 from .measure import bounds, comm
@@ -14,7 +15,7 @@ from .streaming import events
 from .fine import relabel, sizes
 from .offsets import access as offset_access
 
-MODULES = (sizes, relabel, permute, offset_access, compressed, traverse, arrange, bisect, bounds, comm, generate, relational, scalars, sql_surface, files, events)
+MODULES = (sizes, relabel, permute, offset_access, compressed, traverse, arrange, bisect, bounds, comm, generate, relational, scalars, sql_surface, files, events, exp_adjacency)
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 
