@@ -164,8 +164,26 @@ def filter_hosts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", ho
 
 def op9_host_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    return host_quality(docs).select("doc_id", *MEASURES, "base_failed", "kept", "host_rate")
+    return host_quality(docs).select("doc_id", *MEASURES, "base_failed", "kept", F.round("host_rate", 6).alias("host_rate"))
 
 
 QUERIES = {"op9_host_rules": op9_host_rules}
-ORACLES: dict[str, str] = {}
+_WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
+_FAILED = "base_failed OR 100 * n_symbols > 10 * word_chars OR word_chars < 2 * n_words OR word_chars > 15 * n_words OR 100 * n_dup_lines > 30 * greatest(n_lines, 1)"
+ORACLES = {
+    "op9_host_rules": f"""WITH d AS (SELECT doc_id, source, coalesce(text, '') AS text, {_WORDS} AS ws FROM documents),
+b AS (SELECT doc_id, source, CAST(len(ws) AS BIGINT) AS n_words, CAST(length(array_to_string(ws, '')) AS BIGINT) AS word_chars, CAST(length(regexp_replace(text, '[^#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols FROM d),
+ln AS (SELECT doc_id, count(*) AS n_lines, count(*) - count(DISTINCT line) AS n_dup_lines FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM d) q WHERE regexp_matches(line, '[^\\x20\\x09-\\x0D]') GROUP BY doc_id),
+wd AS (SELECT doc_id, unnest(ws) AS w, unnest(range(1, len(ws) + 1)) AS i FROM d),
+w3 AS (SELECT doc_id, i, w || chr(10) || lead(w, 1) OVER p || chr(10) || lead(w, 2) OVER p AS g FROM wd WINDOW p AS (PARTITION BY doc_id ORDER BY i)),
+rp AS (SELECT doc_id, i FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, g) AS c FROM w3 WHERE g IS NOT NULL) q WHERE c > 1),
+rw AS (SELECT doc_id, count(DISTINCT i) AS n_repeat_words FROM (SELECT doc_id, i FROM rp UNION ALL SELECT doc_id, i + 1 FROM rp UNION ALL SELECT doc_id, i + 2 FROM rp) q GROUP BY doc_id),
+m AS (SELECT b.*, coalesce(n_lines, 0) AS n_lines, coalesce(n_dup_lines, 0) AS n_dup_lines, coalesce(n_repeat_words, 0) AS n_repeat_words FROM b LEFT JOIN ln USING (doc_id) LEFT JOIN rw USING (doc_id)),
+j AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM m),
+h AS (SELECT source, CAST(count(*) AS DOUBLE) AS n, CAST(sum(CASE WHEN {_FAILED} THEN 1 ELSE 0 END) AS DOUBLE) AS f FROM j GROUP BY source),
+t AS (SELECT sum(n) AS n, sum(f) AS f, count(*) AS k, sum(f * f / n) AS s, sum(n * n) AS q, (sum(f) + 0.5) / (sum(n) + 1) AS r FROM h),
+v AS (SELECT r, r * (1 - r) AS inside, CASE WHEN n - q / n > 0 THEN (s - f * f / n - (k - 1) * r * (1 - r)) / (n - q / n) ELSE 0 END AS between FROM t),
+a AS (SELECT r, CASE WHEN between > 0 THEN least(greatest(inside / between - 1, 1), 1000) ELSE 1000 END AS weight FROM v)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND coalesce((h.f + r * weight) / (h.n + weight), r) < 0.5 AS kept, round(coalesce((h.f + r * weight) / (h.n + weight), r), 6) AS host_rate
+FROM j LEFT JOIN h ON h.source = j.source, a"""
+}

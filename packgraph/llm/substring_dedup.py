@@ -218,8 +218,17 @@ def remove_substrings(docs: DataFrame, text: str = "text", window: int = 35) ->
 
 def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    return substring_report(docs)
+    return substring_report(docs).drop("spans")
 
 
 QUERIES = {"op7_substring_dedup": op7_substring_dedup}
-ORACLES: dict[str, str] = {}
+ORACLES = {
+    "op7_substring_dedup": r"""WITH d AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+wd AS (SELECT doc_id, unnest(ws) AS w, unnest(range(1, len(ws) + 1)) AS i FROM d),
+st AS (SELECT doc_id, ws, unnest(range(1, len(ws) - 33)) AS i FROM d WHERE len(ws) >= 35),
+gr AS (SELECT doc_id, i, md5(array_to_string(ws[i:i + 34], ' ')) AS g FROM st),
+hit AS (SELECT doc_id, i FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY g) AS c FROM gr) q WHERE c > 1),
+seen AS (SELECT wd.doc_id, wd.i, w, max(hit.i) OVER (PARTITION BY wd.doc_id ORDER BY wd.i ROWS UNBOUNDED PRECEDING) AS l FROM wd LEFT JOIN hit ON hit.doc_id = wd.doc_id AND hit.i = wd.i),
+left_ AS (SELECT doc_id, count(*) AS n_words, count(CASE WHEN l IS NOT NULL AND i - l < 35 THEN 1 END) AS n_removed, string_agg(CASE WHEN l IS NULL OR i - l >= 35 THEN w END, ' ' ORDER BY i) AS kept FROM seen GROUP BY doc_id)
+SELECT d.doc_id, coalesce(n_words, 0) AS n_words, coalesce(n_removed, 0) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM d LEFT JOIN left_ ON left_.doc_id = d.doc_id"""
+}
