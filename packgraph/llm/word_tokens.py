@@ -71,11 +71,14 @@ class ChunkEncoder:
                 base = c.lower()
                 if base[-1:] in (".", ",") and base[-2:-1].isalpha():
                     base, end = base[:-1], base[-1]
-            ids = known.get(base) or old.get(base)
-            if not ids:
-                ids = self._one(base)
-                if base not in known:  # a new one that comes later in the list fills its own place
-                    known[base] = ids
+            if base == c:
+                ids = self._one(c)
+            else:
+                ids = known.get(base) or old.get(base)
+                if not ids:
+                    ids = self._one(base)
+                    if base not in known:  # a new one that comes later in the list fills its own place
+                        known[base] = ids
             ids = bytes(ids)
             if end:
                 ids += self.ends[end]
