@@ -8,7 +8,7 @@
 3. Sets that share one of their first three shingles with a group's smallest id are compared at once;
    components of those links take whole groups of near copies out of the search.
 4. All prefixes go to hash buckets as packed bytes; a shingle needs a search only where it is in the
-   prefixes of two components. One bit a shingle comes back, and only such documents are sent on.
+   prefixes of two components whose sizes allow a link. One bit a shingle comes back, and only such documents are sent on.
 5. In each such group signature trees (nodes hold the OR of token bitmaps and the range of sizes) are
    traversed against each other; a pair of nodes is left as soon as the sizes or the largest possible overlap
    rule out a link, or both lie in one component. Groups are cut by size band (only neighbouring bands can link)
@@ -301,8 +301,7 @@ def forest_pairs(percent: int):
 def search_units(found: DataFrame) -> DataFrame:
     """group, chunk, own, rep, n, comp, bits: what is searched together.
 
-    A unit is a band of a shingle's group with, as guests, the next two bands (linked sizes are at most one band
-    apart; rounding may add one). Only units with two components are made. Where a band has
+    A unit is a band of a shingle's group with, as guests, the next band. Only units with two components are made. Where a band has
     more than ``CHUNK`` sets, it is cut into chunks by a hash and each pair of chunks is a unit.
     """
     row = ["rep", "n", "comp", "bits"]
@@ -310,7 +309,7 @@ def search_units(found: DataFrame) -> DataFrame:
     per = per.withColumn("chunks", F.ceil(F.col("c") / CHUNK).cast("long"))
     # (h, at): a band as the host; (band): whose rows come, the host's own or a guest's
     host = per.select("h", F.col("band").alias("at"), F.col("lo").alias("hlo"), F.col("hi").alias("hhi"), F.col("chunks").alias("hc"))
-    meets = per.withColumn("at", F.explode(F.array(F.col("band"), F.col("band") - 1, F.col("band") - 2))).join(host, ["h", "at"])
+    meets = per.withColumn("at", F.explode(F.array(F.col("band"), F.col("band") - 1))).join(host, ["h", "at"])
     # a meeting is searched if it holds two components; guests alone are no reason
     meets = meets.where("least(lo, hlo) != greatest(hi, hhi)").select("h", "band", "at", "chunks", "hc")
     plain = meets.where("chunks = 1 AND hc = 1")
@@ -333,38 +332,54 @@ def search_units(found: DataFrame) -> DataFrame:
 # --- the join -----------------------------------------------------------------------------------
 
 
-def mixed(percent: int):
-    """A judge: shingles that two components hold. A key is the shingle's low bytes, then its component."""
-    size = KEY_BYTES + 8
+def size_band(n: np.ndarray, percent: int) -> np.ndarray:
+    """Sizes of linked sets are in one band or in neighbouring ones (a band is a little wider than the ratio allowed)."""
+    return np.floor(np.log(n) / (1.0001 * np.log(100 / percent))).astype(np.int64)
 
-    def judge(blobs: list[bytes]) -> list[bytes]:
-        raw = np.frombuffer(b"".join(blobs), np.uint8).reshape(-1, size)
-        key, comp = np.zeros((len(raw), 8), np.uint8), np.ascontiguousarray(raw[:, KEY_BYTES:]).view("<i8").ravel()
-        key[:, :KEY_BYTES] = raw[:, :KEY_BYTES]
-        key = key.view("<u8").ravel()
-        order = np.argsort(key)
-        k, c = key[order], comp[order]
-        begin = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]])) if len(k) else np.zeros(0, np.int64)
-        flag = np.zeros(len(k), bool)
-        if len(k):
-            differs = np.minimum.reduceat(c, begin) != np.maximum.reduceat(c, begin)
-            flag[order] = np.repeat(differs, np.diff(np.append(begin, len(k))))
-        cuts = np.cumsum([0, *(len(x) // size for x in blobs)])
-        return [np.packbits(flag[i:j]).tobytes() for i, j in zip(cuts[:-1], cuts[1:])]
 
-    return judge
+KEY_SIZE = KEY_BYTES + 10
 
 
-def _postings(rows: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(shingle, row) of each prefix entry, and the distinct (shingle, component) pairs: shingles and components."""
+def mixed(blobs: list[bytes]) -> list[bytes]:
+    """A judge: shingles that two components hold in one size band or two neighbouring ones.
+
+    A key is the shingle's low bytes, then its component (8 bytes) and size band (2).
+    """
+    raw = np.frombuffer(b"".join(blobs), np.uint8).reshape(-1, KEY_SIZE)
+    key = np.zeros((len(raw), 8), np.uint8)
+    key[:, :KEY_BYTES] = raw[:, :KEY_BYTES]
+    key = key.view("<u8").ravel()
+    comp = np.ascontiguousarray(raw[:, KEY_BYTES : KEY_BYTES + 8]).view("<i8").ravel()
+    band = np.ascontiguousarray(raw[:, KEY_BYTES + 8 :]).view("<u2").ravel().astype(np.int64)
+    flag = np.zeros(len(raw), bool)
+    if len(raw):
+        order = np.lexsort((band, key))
+        k, c, d = key[order], comp[order], band[order]
+        begin = np.flatnonzero(np.concatenate([[True], (k[1:] != k[:-1]) | (d[1:] != d[:-1])]))
+        lo, hi = np.minimum.reduceat(c, begin), np.maximum.reduceat(c, begin)
+        hit = lo != hi
+        near = (k[begin][1:] == k[begin][:-1]) & (d[begin][1:] == d[begin][:-1] + 1)
+        near &= np.minimum(lo[1:], lo[:-1]) != np.maximum(hi[1:], hi[:-1])
+        hit[1:] |= near
+        hit[:-1] |= near
+        flag[order] = np.repeat(hit, np.diff(np.append(begin, len(k))))
+    cuts = np.cumsum([0, *(len(x) // KEY_SIZE for x in blobs)])
+    return [np.packbits(flag[i:j]).tobytes() for i, j in zip(cuts[:-1], cuts[1:])]
+
+
+def _postings(rows: pa.RecordBatch, percent: int):
+    """(shingle, row, number of its key) of each prefix entry; (shingle, component, band) of each distinct key."""
     blobs = rows.column("prefix").to_pylist()
     h = np.frombuffer(b"".join(blobs), "<u8")
     row = np.repeat(np.arange(len(blobs)), [len(x) // 8 for x in blobs])
     comp = rows.column("comp").to_numpy()[row]
-    order = np.lexsort((comp, h))
-    a, c = h[order], comp[order]
-    new = np.concatenate([[True], (a[1:] != a[:-1]) | (c[1:] != c[:-1])]) if len(a) else np.zeros(0, bool)
-    return h, row, a[new], c[new]
+    band = size_band(rows.column("n").to_numpy(), percent)[row]
+    order = np.lexsort((band, comp, h))
+    a, c, d = h[order], comp[order], band[order]
+    new = np.concatenate([[True], (a[1:] != a[:-1]) | (c[1:] != c[:-1]) | (d[1:] != d[:-1])]) if len(a) else np.zeros(0, bool)
+    number = np.empty(len(h), np.int64)
+    number[order] = np.cumsum(new) - 1
+    return h, row, number, a[new], c[new], d[new]
 
 
 def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame:
@@ -396,25 +411,22 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for i, p in zip(b.column(0).to_pylist(), b.column(1)):
-                _, _, h, c = _postings(unpack(p.as_buffer()))
+                *_, h, c, d = _postings(unpack(p.as_buffer()), percent)
                 order, some, begin = deal(h, buckets)
-                raw = np.concatenate([h[order].view(np.uint8).reshape(-1, 8)[:, :KEY_BYTES], c[order].astype("<i8").view(np.uint8).reshape(-1, 8)], axis=1)
+                raw = np.concatenate([h[order].view(np.uint8).reshape(-1, 8)[:, :KEY_BYTES], c[order].astype("<i8").view(np.uint8).reshape(-1, 8), d[order].astype("<u2").view(np.uint8).reshape(-1, 2)], axis=1)
                 blobs = [raw[x:y].tobytes() for x, y in zip(begin[:-1], begin[1:])]
                 yield pa.RecordBatch.from_arrays([pa.array([i] * len(some), pa.int64()), pa.array(some, pa.int32()), pa.array(blobs, pa.binary())], names=["block_id", "bucket", "keys"])
 
-    flags = exchange_flags(blocks.select("block_id", "payload").mapInArrow(W.trimmed(emit), "block_id long, bucket int, keys binary"), mixed(percent))
-    band = np.log(100 / percent)
+    flags = exchange_flags(blocks.select("block_id", "payload").mapInArrow(W.trimmed(emit), "block_id long, bucket int, keys binary"), mixed)
 
     def members(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for p, f in zip(b.column(0), b.column(1).to_pylist()):
                 rows = unpack(p.as_buffer())
-                h, row, keys, comps = _postings(rows)
-                hot = np.unique(keys[flags_of(keys, buckets, f)])
-                at = np.flatnonzero(np.isin(h, hot))
-                r = row[at]
+                h, row, number, keys, _, bands = _postings(rows, percent)
+                at = np.flatnonzero(flags_of(keys, buckets, f)[number])
+                r, cut = row[at], bands[number[at]]
                 n = rows.column("n").to_numpy()[r]
-                cut = np.floor(np.log(n) / band).astype(np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array(h[at].view(np.int64)), pa.array(cut), rows.column("rep").take(pa.array(r)), pa.array(n), rows.column("comp").take(pa.array(r)), rows.column("bits").take(pa.array(r))], names=["h", "band", "rep", "n", "comp", "bits"])
 
     joined = blocks.join(flags.hint("shuffle_hash"), "block_id").select("payload", "flags")
