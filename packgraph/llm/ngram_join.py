@@ -13,6 +13,7 @@
    traversed against each other; a pair of nodes is left as soon as the sizes or the largest possible overlap
    rule out a link, or both lie in one component. Groups are cut by size band (only neighbouring bands can link)
    and large bands into chunks, each pair of chunks a unit of its own.
+   First only the best pairs of each two components are looked at, then all pairs of those still apart.
 6. Pairs that remain are compared exactly; components of all links give the result.
 
 Defined results: a text without words has the empty set and no link; with fewer words than a
@@ -123,8 +124,8 @@ def sketched(docs: DataFrame, k: int, cells: int) -> np.ndarray:
 
 
 def bitmap(h: np.ndarray) -> bytes:
-    """One bit a shingle in a power of two of bits, at least as many as shingles (64 to 16384)."""
-    bits = 1 << min(max(6, int(len(h) - 1).bit_length()), 14)
+    """One bit a shingle in a power of two of bits, at least four times as many as shingles where 16384 allow it (else denser)."""
+    bits = 1 << min(max(6, int(4 * len(h) - 1).bit_length()), 14)
     x = np.zeros(bits, np.uint8)
     x[(h >> W.U(8)).astype(np.int64) & (bits - 1)] = 1
     return np.packbits(x, bitorder="little").tobytes()
@@ -264,15 +265,31 @@ def folded(bits: list[bytes], width: int) -> np.ndarray:
     return out.view(np.uint64)
 
 
-def forest_pairs(percent: int):
-    """A grouped function: all groups of a bucket, a signature tree for each chunk, pairs of survivors."""
+def forest_pairs(percent: int, best: int | None):
+    """A grouped function: signature trees for all units of a bucket, and the pairs of sets that survive.
+
+    best: at most so many pairs, those of the largest possible overlap, for each two components: enough to join
+    them if they are alike. None: all pairs.
+    """
 
     def run(t: pa.Table) -> pa.Table:
         t = t.sort_by([("group", "ascending"), ("chunk", "ascending"), ("n", "ascending"), ("rep", "ascending")])
         g, chunk, own, rep, n, comp = (t[c].to_numpy() for c in ("group", "chunk", "own", "rep", "n", "comp"))
         bits = t["bits"].to_pylist()
         cuts = np.flatnonzero(np.concatenate([[True], (g[1:] != g[:-1]) | (chunk[1:] != chunk[:-1]), [True]]))
-        out_a, out_b = [], []
+        out = [np.zeros((0, 5), np.int64)]
+
+        def thin() -> np.ndarray:
+            """Each pair once; of each two components the best."""
+            x = np.concatenate(out)
+            x = x[np.unique(x[:, :2], axis=0, return_index=True)[1]] if len(x) else x
+            if best is not None and len(x):
+                x = x[np.lexsort((x[:, 1], x[:, 0], -x[:, 4], x[:, 3], x[:, 2]))]
+                new = np.concatenate([[True], (x[1:, 2:4] != x[:-1, 2:4]).any(axis=1)])
+                x = x[np.arange(len(x)) - np.flatnonzero(new)[np.cumsum(new) - 1] < best]
+            return x
+
+        held = 0
         for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist()):
             if comp[lo:hi].min() == comp[lo:hi].max():
                 continue
@@ -290,9 +307,12 @@ def forest_pairs(percent: int):
                 found.append((i[p], j[q]))
             for p, q in found:
                 p, q = p[rep[p] != rep[q]], q[rep[p] != rep[q]]
-                out_a.append(np.minimum(rep[p], rep[q])), out_b.append(np.maximum(rep[p], rep[q]))
-        a, b = (np.concatenate(v) if v else np.zeros(0, np.int64) for v in (out_a, out_b))
-        pairs = np.unique(np.stack([a, b], axis=1), axis=0) if len(a) else np.zeros((0, 2), np.int64)
+                most = np.bitwise_count(b[p - lo] & b[q - lo]).sum(axis=1).astype(np.int64) * 1000 // (n[p] + n[q])
+                out.append(np.stack([np.minimum(rep[p], rep[q]), np.maximum(rep[p], rep[q]), np.minimum(comp[p], comp[q]), np.maximum(comp[p], comp[q]), most], axis=1))
+                held += len(p)
+            if held > 500_000:
+                out, held = [thin()], 0
+        pairs = thin()
         return pa.table({"a": pa.array(pairs[:, 0], pa.int64()), "b": pa.array(pairs[:, 1], pa.int64())})
 
     return run
@@ -432,14 +452,19 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
     joined = blocks.join(flags.hint("shuffle_hash"), "block_id").select("payload", "flags")
     found = written(joined.mapInArrow(W.trimmed(members), "h long, band long, rep long, n long, comp long, bits binary"), "members")
     drop(blocks)
-    units = search_units(found)
     tasks = max(64, buckets)
-    searched = units.withColumn("task", F.pmod(F.col("group"), F.lit(tasks))).groupBy("task").applyInArrow(forest_pairs(percent), "a long, b long").distinct()
-    searched = written(searched, "pairs")
-    drop(found)
-    reclaim(docs.sparkSession)
-    more = verified(docs, searched, k, percent)
-    final = components(links.unionByName(written(more, "links")))
+    # first the best pairs of each two components, then, among those still apart, all
+    for best in (2, None):
+        units = search_units(found).withColumn("task", F.pmod(F.col("group"), F.lit(tasks)))
+        searched = written(units.groupBy("task").applyInArrow(forest_pairs(percent, best), "a long, b long").distinct(), "pairs")
+        reclaim(docs.sparkSession)
+        links = written(links.unionByName(verified(docs, searched, k, percent)), "links")
+        final = components(links)
+        if best is not None:
+            moved = found.drop("comp").join(final, found["rep"] == final["id"], "left").withColumn("comp", F.coalesce("root", "rep")).drop("id", "root")
+            # groups that one component fills by now are over
+            apart = moved.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo != hi").select("h")
+            found = written(moved.join(apart, "h", "left_semi").select("h", "band", "rep", "n", "comp", "bits"), "members")
     labelled = keys.join(final, keys["rep"] == final["id"], "left").select("k1", "k2", "rep", F.coalesce("root", "rep").alias("component_id"))
     out = members_.select("doc_id", "k1", "k2", F.col("n").alias("n_shingles")).join(labelled, ["k1", "k2"], "left")
     return out.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), F.coalesce("rep", "doc_id").alias("rep"))
