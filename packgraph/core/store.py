@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 
@@ -59,3 +60,22 @@ def drop(df: DataFrame) -> None:
     if path:
         _delete(df.sparkSession, path)
         _made[:] = [x for x in _made if x[1] != path]
+
+
+def tables() -> list[str]:
+    """Paths of the tables of ``written`` that are there now."""
+    return [path for _, path in _made]
+
+
+def remove(spark: SparkSession, paths: list[str]) -> None:
+    """Removes some of them, for callers that have stored every result that reads them."""
+    for path in paths:
+        _delete(spark, path)
+    _made[:] = [x for x in _made if x[1] not in set(paths)]
+    reclaim(spark)
+
+
+def reclaim(spark: SparkSession) -> None:
+    """Asks both collectors to run, so that Spark removes the shuffle files of finished plans now rather than at its next half hour."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
