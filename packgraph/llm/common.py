@@ -5,91 +5,16 @@ Nothing outside this subpackage imports it.
 
 from __future__ import annotations
 
-import atexit
-import gc
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-_made: list = []
+from ..core.store import drop, reclaim, remove, shared_folder, tables, written
 
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder every executor and the driver share (``spark.checkpoint.dir``).
-
-    Where it is unset, a temporary one is made, on a local master only: on a cluster a
-    folder of one machine would lose files.
-    """
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if folder is None:
-        if not spark.sparkContext.master.startswith("local["):
-            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
-        found = spark.sparkContext._jsc.sc().getCheckpointDir()
-        folder = found.get() if found.isDefined() else tempfile.mkdtemp(prefix="packgraph-")
-    if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
-        spark.sparkContext.setCheckpointDir(folder)
-    return folder.rstrip("/")
-
-
-def _delete(spark: SparkSession, path: str) -> None:
-    jvm = spark.sparkContext._jvm
-    if jvm is not None:
-        where = jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-
-
-def _tidy() -> None:
-    for spark, path in _made:
-        try:
-            _delete(spark, path)
-        except Exception:  # the session has ended; its shared folder goes with the application
-            return
-
-
-atexit.register(_tidy)
-
-
-def written(df: DataFrame, name: str) -> DataFrame:
-    """``df`` as a table of the shared folder: cuts the lineage, survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/packgraph-{name}-{uuid.uuid4().hex}"
-    _made.append((spark, path))
-    df.write.option("compression", "zstd").parquet(path)
-    out = spark.read.schema(df.schema).parquet(path)
-    out._packgraph_path = path
-    return out
-
-
-def drop(df: DataFrame) -> None:
-    """Removes a table of ``written`` that nothing reads any more."""
-    path = getattr(df, "_packgraph_path", None)
-    if path:
-        _delete(df.sparkSession, path)
-        _made[:] = [x for x in _made if x[1] != path]
-
-
-def tables() -> list[str]:
-    """Paths of the tables of ``written`` that are there now."""
-    return [path for _, path in _made]
-
-
-def remove(spark: SparkSession, paths: list[str]) -> None:
-    """Removes some of them, for callers that have stored every result that reads them."""
-    for path in paths:
-        _delete(spark, path)
-    _made[:] = [x for x in _made if x[1] not in set(paths)]
-    reclaim(spark)
-
-
-def reclaim(spark: SparkSession) -> None:
-    """Asks both collectors to run, so that Spark removes the shuffle files of finished plans now rather than at its next half hour."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+__all__ = ["components", "drop", "exchange_flags", "fresh", "pack", "reclaim", "remove", "shared_folder", "tables", "text_bytes", "to_blocks", "unpack", "written"]
 
 
 def text_bytes(docs: DataFrame, column: str = "text") -> int:
