@@ -39,6 +39,7 @@ SKETCH_PARTS = 64
 EARLY = 3
 KEY_BYTES = 6  # of a shingle in a set or bucket: bucket and 48 bits tell shingles apart
 CHUNK = 4096
+SMALL = 64
 BROADCAST_IDS = 1_000_000  # 8 MB of ids; beyond it the texts are joined by a shuffle
 
 
@@ -124,8 +125,8 @@ def sketched(docs: DataFrame, k: int, cells: int) -> np.ndarray:
 
 
 def bitmap(h: np.ndarray) -> bytes:
-    """One bit a shingle in a power of two of bits, at least four times as many as shingles where 16384 allow it (else denser)."""
-    bits = 1 << min(max(6, int(4 * len(h) - 1).bit_length()), 14)
+    """One bit a shingle in a power of two of bits, at least as many as shingles (64 to 16384)."""
+    bits = 1 << min(max(6, int(len(h) - 1).bit_length()), 14)
     x = np.zeros(bits, np.uint8)
     x[(h >> W.U(8)).astype(np.int64) & (bits - 1)] = 1
     return np.packbits(x, bitorder="little").tobytes()
@@ -268,8 +269,8 @@ def folded(bits: list[bytes], width: int) -> np.ndarray:
 def forest_pairs(percent: int, best: int | None):
     """A grouped function: signature trees for all units of a bucket, and the pairs of sets that survive.
 
-    best: at most so many pairs, those of the largest possible overlap, for each two components: enough to join
-    them if they are alike. None: all pairs.
+    best: at most so many pairs, those of the largest possible overlap, for each two components (ca, cb): enough to join
+    them if they are alike; ``more`` is 1 where pairs were left out. None: all pairs.
     """
 
     def run(t: pa.Table) -> pa.Table:
@@ -277,16 +278,20 @@ def forest_pairs(percent: int, best: int | None):
         g, chunk, own, rep, n, comp = (t[c].to_numpy() for c in ("group", "chunk", "own", "rep", "n", "comp"))
         bits = t["bits"].to_pylist()
         cuts = np.flatnonzero(np.concatenate([[True], (g[1:] != g[:-1]) | (chunk[1:] != chunk[:-1]), [True]]))
-        out = [np.zeros((0, 5), np.int64)]
+        out = [np.zeros((0, 6), np.int64)]
 
         def thin() -> np.ndarray:
             """Each pair once; of each two components the best."""
             x = np.concatenate(out)
-            x = x[np.unique(x[:, :2], axis=0, return_index=True)[1]] if len(x) else x
+            if len(x):
+                x = x[np.lexsort((-x[:, 5], x[:, 1], x[:, 0]))]
+                x = x[np.concatenate([[True], (x[1:, :2] != x[:-1, :2]).any(axis=1)])]
             if best is not None and len(x):
                 x = x[np.lexsort((x[:, 1], x[:, 0], -x[:, 4], x[:, 3], x[:, 2]))]
-                new = np.concatenate([[True], (x[1:, 2:4] != x[:-1, 2:4]).any(axis=1)])
-                x = x[np.arange(len(x)) - np.flatnonzero(new)[np.cumsum(new) - 1] < best]
+                new = np.flatnonzero(np.concatenate([[True], (x[1:, 2:4] != x[:-1, 2:4]).any(axis=1)]))
+                size = np.diff(np.append(new, len(x)))
+                x[:, 5] |= np.repeat((size > best).astype(np.int64), size)
+                x = x[np.arange(len(x)) - np.repeat(new, size) < best]
             return x
 
         held = 0
@@ -308,36 +313,37 @@ def forest_pairs(percent: int, best: int | None):
             for p, q in found:
                 p, q = p[rep[p] != rep[q]], q[rep[p] != rep[q]]
                 most = np.bitwise_count(b[p - lo] & b[q - lo]).sum(axis=1).astype(np.int64) * 1000 // (n[p] + n[q])
-                out.append(np.stack([np.minimum(rep[p], rep[q]), np.maximum(rep[p], rep[q]), np.minimum(comp[p], comp[q]), np.maximum(comp[p], comp[q]), most], axis=1))
+                out.append(np.stack([np.minimum(rep[p], rep[q]), np.maximum(rep[p], rep[q]), np.minimum(comp[p], comp[q]), np.maximum(comp[p], comp[q]), most, np.zeros(len(p), np.int64)], axis=1))
                 held += len(p)
             if held > 500_000:
                 out, held = [thin()], 0
         pairs = thin()
-        return pa.table({"a": pa.array(pairs[:, 0], pa.int64()), "b": pa.array(pairs[:, 1], pa.int64())})
+        return pa.table({k: pa.array(pairs[:, c], pa.int64()) for k, c in (("a", 0), ("b", 1), ("ca", 2), ("cb", 3), ("more", 5))})
 
     return run
 
 
 def search_units(found: DataFrame) -> DataFrame:
-    """group, chunk, own, rep, n, comp, bits: what is searched together.
+    """group, chunk, own, rep, n, comp, bits, key: what is searched together.
 
     A unit is a band of a shingle's group with, as guests, the next band. Only units with two components are made. Where a band has
-    more than ``CHUNK`` sets, it is cut into chunks by a hash and each pair of chunks is a unit.
+    more than ``CHUNK`` sets, it is cut into chunks by a hash and each pair of chunks is a unit. Units of one key go to one
+    task: small units share the key of their smallest id, so that sets which share many shingles are told apart once.
     """
     row = ["rep", "n", "comp", "bits"]
-    per = written(found.groupBy("h", "band").agg(F.count("*").alias("c"), F.min("comp").alias("lo"), F.max("comp").alias("hi")), "bands")
+    per = written(found.groupBy("h", "band").agg(F.count("*").alias("c"), F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min("rep").alias("first")), "bands")
     per = per.withColumn("chunks", F.ceil(F.col("c") / CHUNK).cast("long"))
     # (h, at): a band as the host; (band): whose rows come, the host's own or a guest's
-    host = per.select("h", F.col("band").alias("at"), F.col("lo").alias("hlo"), F.col("hi").alias("hhi"), F.col("chunks").alias("hc"))
+    host = per.select("h", F.col("band").alias("at"), F.col("lo").alias("hlo"), F.col("hi").alias("hhi"), F.col("chunks").alias("hc"), F.when(F.col("c") <= SMALL, F.xxhash64("first")).otherwise(F.xxhash64("h", "band")).alias("key"))
     meets = per.withColumn("at", F.explode(F.array(F.col("band"), F.col("band") - 1))).join(host, ["h", "at"])
     # a meeting is searched if it holds two components; guests alone are no reason
-    meets = meets.where("least(lo, hlo) != greatest(hi, hhi)").select("h", "band", "at", "chunks", "hc")
+    meets = meets.where("least(lo, hlo) != greatest(hi, hhi)").select("h", "band", "at", "chunks", "hc", "key")
     plain = meets.where("chunks = 1 AND hc = 1")
     large = meets.where("chunks > 1 OR hc > 1")
     # plain: guests' hosts must be there too, so own rows are sent once for each host that searches at all
-    hosts = plain.select("h", "at").distinct()
-    own = found.join(hosts.select("h", F.col("at").alias("band")), ["h", "band"]).select(F.xxhash64("h", "band").alias("group"), F.lit(0).alias("chunk"), F.lit(1).alias("own"), *row)
-    guests = found.join(plain.where("band != at").select("h", "band", "at"), ["h", "band"]).select(F.xxhash64("h", "at").alias("group"), F.lit(0).alias("chunk"), F.lit(0).alias("own"), *row)
+    hosts = plain.select("h", "at", "key").distinct()
+    own = found.join(hosts.select("h", F.col("at").alias("band"), "key"), ["h", "band"]).select(F.xxhash64("h", "band").alias("group"), F.lit(0).alias("chunk"), F.lit(1).alias("own"), *row, "key")
+    guests = found.join(plain.where("band != at").select("h", "band", "at", "key"), ["h", "band"]).select(F.xxhash64("h", "at").alias("group"), F.lit(0).alias("chunk"), F.lit(0).alias("own"), *row, "key")
     mine = F.pmod(F.xxhash64("rep"), F.col("chunks"))
     # large: host chunk x against guest chunk y
     host_side = found.join(large.select("h", F.col("at").alias("band"), F.col("band").alias("other"), F.col("hc").alias("chunks"), F.col("chunks").alias("theirs")), ["h", "band"]).withColumn("x", mine)
@@ -345,7 +351,7 @@ def search_units(found: DataFrame) -> DataFrame:
     guest_side = found.join(large.select("h", "band", "at", "chunks", F.col("hc").alias("theirs")), ["h", "band"]).withColumn("y", mine)
     guest_side = guest_side.select("h", "at", F.col("band").alias("other"), F.explode(F.expr("sequence(0L, theirs - 1)")).alias("x"), "y", F.lit(0).alias("own"), *row)
     pairs = host_side.unionByName(guest_side).where("at != other OR x <= y")
-    chunked = pairs.select(F.xxhash64("h", "at", "other", "x", "y", F.lit(11)).alias("group"), F.lit(1).alias("chunk"), "own", *row)
+    chunked = pairs.withColumn("group", F.xxhash64("h", "at", "other", "x", "y", F.lit(11))).select("group", F.lit(1).alias("chunk"), "own", *row, F.col("group").alias("key"))
     return own.union(guests).union(chunked)
 
 
@@ -453,18 +459,28 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
     found = written(joined.mapInArrow(W.trimmed(members), "h long, band long, rep long, n long, comp long, bits binary"), "members")
     drop(blocks)
     tasks = max(64, buckets)
-    # first the best pairs of each two components, then, among those still apart, all
-    for best in (2, None):
-        units = search_units(found).withColumn("task", F.pmod(F.col("group"), F.lit(tasks)))
-        searched = written(units.groupBy("task").applyInArrow(forest_pairs(percent, best), "a long, b long").distinct(), "pairs")
-        reclaim(docs.sparkSession)
-        links = written(links.unionByName(verified(docs, searched, k, percent)), "links")
+
+    def search(some: DataFrame, best: int | None) -> DataFrame:
+        units = search_units(some).withColumn("task", F.pmod(F.col("key"), F.lit(tasks))).drop("key")
+        return written(units.groupBy("task").applyInArrow(forest_pairs(percent, best), "a long, b long, ca long, cb long, more long"), "pairs")
+
+    # first the best pairs of each two components
+    searched = search(found, 2)
+    reclaim(docs.sparkSession)
+    links = written(links.unionByName(verified(docs, written(searched.select("a", "b").distinct(), "pairs"), k, percent)), "links")
+    final = components(links)
+    # then all pairs of those that were not shown whole and are still apart
+    top = final.select(F.col("id").alias("c"), "root")
+    cut = searched.where("more = 1").select("ca", "cb").distinct()
+    cut = cut.join(top.withColumnRenamed("root", "ra"), cut["ca"] == top["c"], "left").drop("c").join(top.withColumnRenamed("root", "rb"), F.col("cb") == F.col("c"), "left").drop("c")
+    apart = cut.where(F.coalesce("ra", "ca") != F.coalesce("rb", "cb"))
+    comps = written(apart.select(F.col("ca").alias("comp")).union(apart.select("cb")).distinct(), "apart")
+    if not comps.isEmpty():
+        rest = found.join(comps, "comp", "left_semi").join(top, F.col("rep") == F.col("c"), "left").withColumn("comp", F.coalesce("root", "rep")).select("h", "band", "rep", "n", "comp", "bits")
+        again = search(written(rest, "members"), None)
+        links = written(links.unionByName(verified(docs, written(again.select("a", "b").distinct(), "pairs"), k, percent)), "links")
         final = components(links)
-        if best is not None:
-            moved = found.drop("comp").join(final, found["rep"] == final["id"], "left").withColumn("comp", F.coalesce("root", "rep")).drop("id", "root")
-            # groups that one component fills by now are over
-            apart = moved.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo != hi").select("h")
-            found = written(moved.join(apart, "h", "left_semi").select("h", "band", "rep", "n", "comp", "bits"), "members")
+    drop(found)
     labelled = keys.join(final, keys["rep"] == final["id"], "left").select("k1", "k2", "rep", F.coalesce("root", "rep").alias("component_id"))
     out = members_.select("doc_id", "k1", "k2", F.col("n").alias("n_shingles")).join(labelled, ["k1", "k2"], "left")
     return out.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), F.coalesce("rep", "doc_id").alias("rep"))
