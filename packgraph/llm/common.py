@@ -117,7 +117,11 @@ def components(links: DataFrame, a: str = "a", b: str = "b", most: int = 60) ->
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").where("v != m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select("u", F.col("m").alias("v")))
         new = written(small.where("u != v").distinct(), "cc")
-        now = new.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
+        now = new.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.count_distinct("u")).first()
+        if now[0] == now[2] and new.join(new.select(F.col("v").alias("u")).distinct(), "u", "left_semi").isEmpty():
+            drop(edges)
+            edges = new  # stars already: one centre each, and no centre hangs on another
+            break
         if was == tuple(now):
             drop(new)
             break
