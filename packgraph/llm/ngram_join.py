@@ -39,7 +39,7 @@ SKETCH_PARTS = 64
 EARLY = 3
 KEY_BYTES = 6  # of a shingle in a set or bucket: bucket and 48 bits tell shingles apart
 CHUNK = 4096
-SMALL = 64
+SMALL = CHUNK
 BROADCAST_IDS = 1_000_000  # 8 MB of ids; beyond it the texts are joined by a shuffle
 
 
