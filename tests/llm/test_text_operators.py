@@ -246,6 +246,26 @@ def test_line_dedup(spark, docs, none):
     assert not re.search("Python|Pandas|Arrow", plan_text)
 
 
+def test_line_dedup_of_stars(spark):
+    """Variants alike to one original and not to each other, more than are compared with one another."""
+    rng = np.random.default_rng(8)
+    rows = []
+    for s in range(3):
+        base = ["".join(rng.choice(list("abcdefgh"), 6)) for _ in range(34)]
+        rows += [" ".join(base)]
+        for k in range(150):
+            v = list(base)
+            v[k % 34] = f"{s}v{k:04d}"
+            rows.append(" ".join(v))
+    docs = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string").repartition(3)
+    kept = {r["doc_id"] for r in dedup_lines(docs).collect() if not r["removed_lines"]}
+    sets = [line_set(x) for x in rows]
+    centre = [k // 151 * 151 for k in range(len(rows))]
+    linked = [len(sets[k] & sets[c]) >= 0.8 * len(sets[k] | sets[c]) for k, c in enumerate(centre)]
+    assert sum(linked) > 400
+    assert kept == {k for k in range(len(rows)) if k == centre[k] or not linked[k] and not any(len(sets[k] & sets[o]) >= 0.8 * len(sets[k] | sets[o]) for o in range(len(rows)) if o != k)}
+
+
 def test_knapsack_and_plan():
     sizes = np.array([3, 5, 7])
     value, count = knapsack(sizes, np.array([3.0, 5.5, 8.0]), 12)
