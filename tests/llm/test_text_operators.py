@@ -8,11 +8,12 @@ from collections import Counter, defaultdict
 import numpy as np
 import public_tokenizers
 import pytest
+from pyspark.sql import functions as F
 
 from packgraph.llm.byte_bpe import decode_documents, encode_documents, load_ranks, words
 from packgraph.llm.common import components
 from packgraph.llm.host_rules import HostRules, filter_hosts, host_quality
-from packgraph.llm.line_dedup import dedup_lines
+from packgraph.llm.line_dedup import KEYS, band_keys, dedup_lines
 from packgraph.llm.ngram_join import SignatureTree, folded, jaccard_components, need, traverse
 from packgraph.llm.packing import column_generation, knapsack, pack_documents, plan
 from packgraph.llm.substring_dedup import COVER, PERIOD, remove_substrings, substring_report
@@ -266,6 +267,23 @@ def test_line_dedup_of_stars(spark):
     assert kept == {k for k in range(len(rows)) if k == centre[k] or not linked[k] and not any(len(sets[k] & sets[o]) >= 0.8 * len(sets[k] | sets[o]) for o in range(len(rows)) if o != k)}
 
 
+def test_line_dedup_of_ends_and_short_lines(spark):
+    apart = ["The measured temperature was 21.5", "The measured temperature was 37.0", "number 100000000000001 here", "number 100000000000002 here", "kürz", "kurz"]
+    near = [("abcdefghijklmnopqrstu", "bcdefghijklmnopqrstu"), ("a b c d e f g h i j k", "b c d e f g h i j k"), ("zyxwvutsrqponmlkjihgfedcb", "yxwvutsrqponmlkjihgfedcb")]
+    once = "again and again we say " * 12 + "to the one who does not want to hear of it at all"
+    near.append((once, "But " + once))
+    lines = [*apart, *(x for p in near for x in p)]
+    docs = spark.createDataFrame([(k, x) for k, x in enumerate(lines)], "doc_id long, text string")
+    gone = {r["doc_id"] for r in dedup_lines(docs).collect() if r["removed_lines"]}
+    assert gone == {len(apart) + 2 * k + 1 for k in range(len(near))}
+
+
+def test_repeated_shingles_take_one_key(spark):
+    line = spark.createDataFrame([("again and again we say " * 12 + "to the one who does not want to hear of it at all",)], "line string")
+    keys = line.select(band_keys(F.col("line"), 0.8)).first()[0]
+    assert len(keys) == len(set(keys)) == KEYS
+
+
 def test_knapsack_and_plan():
     sizes = np.array([3, 5, 7])
     value, count = knapsack(sizes, np.array([3.0, 5.5, 8.0]), 12)
