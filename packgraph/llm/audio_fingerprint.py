@@ -7,8 +7,8 @@ code, so that a frame's packed 32-bit integer changes little when the sound does
 Two recordings are aligned by the histogram of time offsets between equal integers; at the offset with
 the most votes the share of differing bits says how alike they are.
 
-Recordings with the same integers are one class; classes are compared, not copies. An integer that many classes
-hold (silence, a held tone) is looked up together with the integers after it, so no lookup key is hot.
+Recordings with the same integers are one class; classes are compared, not copies. Every equal integer votes, however
+many classes hold it (silence, a held tone); such an integer's classes are dealt to several tasks.
 
 Defined results: null or short sound (less than one filter's width) has no integers and no match; null ids are left out; repeated
 rows fall into one class; no rows give no rows; extra columns are ignored.
@@ -32,7 +32,8 @@ WIDEST = max(f[3] for f in FILTERS)
 GRAY = np.array([0, 1, 3, 2], np.uint32)
 #: Cuts of a filter's log ratio between its four levels.
 CUTS = np.array([-0.12, 0.0, 0.12])
-COMMON = 64
+#: Tasks that the places of one integer are dealt to.
+SALTS = 16
 
 
 def chroma(samples: np.ndarray, rate: int, frame: int = 1024, hop: int = 512, low: float = 60.0, high: float = 3500.0) -> np.ndarray:
@@ -127,14 +128,14 @@ def align(prints: DataFrame, is_query, least_votes: int = 3) -> DataFrame:
     member = prints.where(is_query).where(F.size("prints") > 0).withColumn("k", F.sha2(F.array_join(F.transform("prints", lambda x: x.cast("string")), ","), 256))
     queries = written(member.select(F.col("rec_id").alias("query_id"), "k").join(reps.select("k", F.col("class_id").alias("query_class")), "k").select("query_id", "query_class"), "queries")
 
-    tail = F.expr("concat(prints, array(0, 0))")
-    post = reps.select("class_id", F.posexplode("prints").alias("t", "v"), tail.alias("z"))
-    post = post.select("class_id", "t", "v", F.expr("xxhash64(z[t], z[t + 1], z[t + 2])").alias("more"))
-    common = post.groupBy("v").agg(F.count("*").alias("c")).where(F.col("c") > COMMON).select("v", F.lit(True).alias("hot"))
-    keyed = post.join(common, "v", "left").select("class_id", "t", F.when(F.col("hot"), F.col("more")).otherwise(F.xxhash64("v")).alias("key"))
-    keyed = written(keyed, "postings")
-    asked = keyed.join(queries.select(F.col("query_class").alias("class_id")).distinct(), "class_id", "left_semi").select(F.col("class_id").alias("query_class"), F.col("t").alias("s"), "key")
-    votes = asked.join(keyed, "key").groupBy("query_class", "class_id", (F.col("t") - F.col("s")).alias("offset")).agg(F.count("*").alias("votes"))
+    # an integer's places in one class travel as one row, dealt to SALTS tasks; its queries' places go to all of them
+    post = reps.select("class_id", F.posexplode("prints").alias("t", "v"))
+    held = written(post.groupBy("class_id", "v").agg(F.collect_list("t").alias("ts")), "postings")
+    asked = held.join(queries.select(F.col("query_class").alias("class_id")).distinct(), "class_id", "left_semi").select(F.col("class_id").alias("query_class"), "v", F.col("ts").alias("ss"))
+    asked = asked.withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
+    met = asked.join(held.withColumn("salt", F.expr(f"cast(pmod(xxhash64(class_id), {SALTS}) as int)")), ["v", "salt"])
+    places = met.select("query_class", "class_id", F.explode("ss").alias("s"), "ts").select("query_class", "class_id", "s", F.explode("ts").alias("t"))
+    votes = places.groupBy("query_class", "class_id", (F.col("t") - F.col("s")).alias("offset")).agg(F.count("*").alias("votes"))
     best = votes.groupBy("query_class", "class_id").agg(F.max(F.struct("votes", (-F.abs("offset")).alias("near"), (-F.col("offset")).alias("first"))).alias("b"))
     best = best.select("query_class", "class_id", F.col("b.votes").alias("votes"), (-F.col("b.first")).alias("offset")).where(F.col("votes") >= least_votes)
     both = best.join(reps.select(F.col("class_id").alias("query_class"), F.col("prints").alias("x")), "query_class").join(reps.select("class_id", "copies", F.col("prints").alias("y")), "class_id")

@@ -7,6 +7,7 @@ import public_tokenizers
 import pyarrow as pa
 import pytest
 
+from packgraph.core.store import written
 from packgraph.llm.audio_fingerprint import FILTERS, WIDEST, align, chroma, classes, fingerprint, fingerprints, melody
 from packgraph.llm.language_id import Lattice, fit, held_out, identify, op4_language_id, train, vocabulary
 from packgraph.llm.quality_classifier import FactorisationMachine, features, op8_quality_classifier, scored
@@ -146,3 +147,10 @@ def test_melody_and_empty(spark):
     v = spark.createDataFrame([(1, [0.1] * 64), (2, None)], "rec_id long, embedding array<float>")
     assert [len(r["pcm"]) for r in melody(v).orderBy("rec_id").collect()] == [64 * 512 * 2, 0]
     assert align(fingerprints(melody(v.limit(0))), "rec_id % 20 = 0").count() == 0
+
+
+def test_common_integers_vote(spark):
+    """Recordings that share three single integers at one offset match, also when very many hold these integers."""
+    rows = [(20 * k, [10_000 * k + j if j % 4 else 7 + j for j in range(12)]) for k in range(1, 101)]
+    out = align(written(spark.createDataFrame(rows, "rec_id long, prints array<int>"), "prints"), "rec_id = 20").collect()
+    assert {(r["class_id"], r["offset"], r["votes"]) for r in out if r["class_id"] != 20} == {(20 * k, 0, 3) for k in range(2, 101)}
