@@ -97,13 +97,13 @@ def _varint(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A bit vector a vertex: the places of its neighbours."""
-    a = derive.load(spark, sf_dir, "g_page_link").adjacency().where("v <= 60")
+    a = derive.load(spark, sf_dir, "g_page_link").adjacency()
 
     @arrow_udf(BinaryType())
     def bits(values: pa.Array) -> pa.Array:
         out = []
         for x in values.to_pylist():
-            b = np.zeros(600, np.uint8)
+            b = np.zeros(max(x) + 1, np.uint8)
             b[np.array(x)] = 1
             out.append(np.packbits(b, bitorder="little").tobytes())
         return pa.array(out, pa.binary())
@@ -119,6 +119,11 @@ def _select(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _vectors(spark, sf_dir).select("v", bv_select("b", F.lit(2)).alias("second")).where("second IS NOT NULL")
 
 
+def _first(query, most: int = 60):
+    """Its rows of the first vertices, which are what the SQL of that name lists."""
+    return lambda spark, sf_dir: query(spark, sf_dir).where(F.col("v") <= most)
+
+
 def _table(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Lists decoded by the table function, in SQL."""
     register_all(spark)
@@ -127,7 +132,7 @@ def _table(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _CELLS = derive.with_graph("g_page_link") + "SELECT v, u FROM cells"
-QUERIES = {"udf_pack": _pack, "udf_varint": _varint, "bv_rank": _rank, "bv_select": _select, "udtf_neighbors": _table}
+QUERIES = {"udf_pack": _pack, "udf_varint": _varint, "bv_rank": _first(_rank), "bv_select": _first(_select), "bv_rank_all": _rank, "bv_select_all": _select, "udtf_neighbors": _table}
 ORACLES = {
     "udf_pack": _CELLS, "udf_varint": _CELLS, "udtf_neighbors": _CELLS,
     "bv_rank": derive.with_graph("g_page_link") + "SELECT v, count(CASE WHEN u <= 400 THEN 1 END) AS r FROM cells WHERE v <= 60 GROUP BY v",

@@ -120,3 +120,12 @@ def test_entry():
     import __spark_entry__ as e
 
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_bit_vectors_of_all_vertices(spark, con):
+    from packgraph.functions.sql_surface import ORACLES, QUERIES
+
+    for name, at in (("bv_rank", "r"), ("bv_select", "second")):
+        for query, sql in ((name, ORACLES[name]), (f"{name}_all", ORACLES[name].replace("WHERE v <= 60", ""))):
+            got = {(r["v"], r[at]) for r in QUERIES[query](spark, SF).collect()}
+            assert got == set(con.execute(f"SELECT v, {at} FROM ({sql}) q").fetchall())
