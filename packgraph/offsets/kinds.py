@@ -166,16 +166,25 @@ class BTree:
     def _count(self) -> None:
         self.ends = np.cumsum([len(x) for x in self.leaves])
         self.ones = np.cumsum([int(x.sum()) for x in self.leaves])
-        self.payload = b"".join(np.packbits(x, bitorder="little").tobytes() for x in self.leaves)
         self.payload_bits, self.index_bits = int(self.ends[-1]), 128 * len(self.leaves)
 
+    @property
+    def payload(self) -> bytes:
+        return b"".join(np.packbits(x, bitorder="little").tobytes() for x in self.leaves)
+
     def insert(self, position: int, bit: int = 1) -> None:
         """Puts a bit at ``position``; what stood there and after moves up. A leaf twice as long as others is split."""
         k = min(int(np.searchsorted(self.ends, position, "right")), len(self.leaves) - 1)
         at = position - (int(self.ends[k - 1]) if k else 0)
         new = np.insert(self.leaves[k], at, bit)
+        if len(new) < 2 * self.leaf:
+            self.leaves[k] = new
+            self.ends[k:] += 1
+            self.ones[k:] += bit
+            self.payload_bits += 1
+            return
         half = len(new) // 2
-        self.leaves[k : k + 1] = [new[:half], new[half:]] if len(new) >= 2 * self.leaf else [new]
+        self.leaves[k : k + 1] = [new[:half], new[half:]]
         self._count()
 
     def select(self, j: np.ndarray) -> np.ndarray:

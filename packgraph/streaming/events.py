@@ -102,7 +102,7 @@ def late(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def btree_insert(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Places of ones after inserting each hundredth event's hour into a bit vector of leaves, batch by batch."""
+    """Places of ones after inserting each event's hour into a bit vector of leaves, batch by batch. The driver inserts; a batch comes to it a partition at a time."""
     import numpy as np
 
     from ..offsets.kinds import BTree
@@ -111,10 +111,10 @@ def btree_insert(spark: SparkSession, sf_dir: str) -> DataFrame:
     at = f"{shared_folder(spark)}/packgraph-stream-{uuid.uuid4().hex}"
 
     def add(b: DataFrame, k: int) -> None:
-        for r in b.orderBy("event_id").collect():  # a batch's inserts: a hundredth of its rows
+        for r in b.orderBy("event_id").toLocalIterator():
             tree.insert(min(int(r["h"]), int(tree.ends[-1])))
 
-    s = stream(spark, sf_dir).where("event_id % 100 = 0").select("event_id", F.hour("ts").alias("h"))
+    s = stream(spark, sf_dir).select("event_id", F.hour("ts").alias("h"))
     q = s.writeStream.foreachBatch(add).option("checkpointLocation", f"{at}/check").trigger(availableNow=True).start()
     q.awaitTermination()
     ones = tree.select(np.arange(int(tree.ones[-1])))

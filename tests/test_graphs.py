@@ -14,6 +14,7 @@ from packgraph.fine.relabel import greedy_relabel, ilp_objective
 from packgraph.fine.sizes import CODECS, sizes
 from packgraph.graphs import derive, generate
 from packgraph.plans.inspect import problems, pushed_filters, read_columns
+from packgraph.streaming.events import btree_insert
 
 EDGES = [(1, 5), (1, 7), (5, 7), (3, 5), (3, 7), (2, 4), (2, 6), (4, 6), (6, 8), (4, 8), (7, 8)]
 
@@ -129,3 +130,12 @@ def test_bit_vectors_of_all_vertices(spark, con):
         for query, sql in ((name, ORACLES[name]), (f"{name}_all", ORACLES[name].replace("WHERE v <= 60", ""))):
             got = {(r["v"], r[at]) for r in QUERIES[query](spark, SF).collect()}
             assert got == set(con.execute(f"SELECT v, {at} FROM ({sql}) q").fetchall())
+
+
+def test_all_events_are_inserted(spark):
+    events = spark.read.parquet(f"{SF}/events.parquet").select("event_id", F.hour("ts").alias("h")).orderBy("event_id").collect()
+    zero = 0
+    for k, r in enumerate(events):
+        zero += min(r["h"], k + 1) <= zero
+    got = sorted(r["place"] for r in btree_insert(spark, SF).collect())
+    assert got == [k for k in range(len(events) + 1) if k != zero]
