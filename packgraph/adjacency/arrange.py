@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+from bisect import bisect_left
 from itertools import permutations
 
 import numpy as np
@@ -59,6 +61,13 @@ def pod_feasible(g: Graph, perm: DataFrame, chosen: DataFrame | None = None) ->
     return per_row.join(F.broadcast(order), F.lit(True))
 
 
+def _differences(u: list[int], own: int, kind: str) -> list[int]:
+    """Of a vertex labelled ``own`` with neighbours at ``u``, sorted."""
+    if "gap" in kind:
+        return [abs(u[0] - own), *(b - a for a, b in zip(u, u[1:]))] if u else []
+    return [abs(a - own) for a in u]
+
+
 def _cost(near: list[list[int]], label: list[int], kind: str) -> float:
     total = 0.0
     for v, nb in enumerate(near):
@@ -123,17 +132,42 @@ def local_search(n: int, edges: list[tuple[int, int]], kind: str = "mgapa", roun
     for k, v in enumerate(order):
         label[v] = k + 1
     at = {label[v]: v for v in range(n)}
-    best = _cost(near, label, kind)
+    lists = [sorted(label[x] for x in nb) for nb in near]
+    size = math.log2 if "log" in kind else float
+
+    def around(v: int, x: int) -> float:
+        """What label ``x`` in the list of v takes part in."""
+        if "gap" not in kind:
+            return size(abs(x - label[v]))
+        s = lists[v]
+        i = bisect_left(s, x)
+        return size(x - s[i - 1] if i else abs(x - label[v])) + (size(s[i + 1] - x) if i + 1 < len(s) else 0)
+
+    def cost(a: int, b: int, others: tuple[set, set]) -> float:
+        """All that a swap of a and b may change; lists with both hold the same labels after it."""
+        own = sum(size(x) for v in (a, b) for x in _differences(lists[v], label[v], kind))
+        return own + sum(around(v, label[w]) for w, o in zip((a, b), others) for v in o)
+
+    def swap(a: int, b: int, others: tuple[set, set]) -> None:
+        p, q = label[a], label[b]
+        beside = a in near[b]
+        for v in (*others[0], *([b] if beside else [])):
+            lists[v][bisect_left(lists[v], p)] = q
+        for v in (*others[1], *([a] if beside else [])):
+            lists[v][bisect_left(lists[v], q)] = p
+        label[a], label[b] = q, p
+
     for _ in range(rounds):
         better = False
         for p in range(1, n):
             a, b = at[p], at[p + 1]
-            label[a], label[b] = p + 1, p
-            c = _cost(near, label, kind)
-            if c < best - 1e-12:
-                best, at[p], at[p + 1], better = c, b, a, True
+            others = (set(near[a]) - set(near[b]) - {b}, set(near[b]) - set(near[a]) - {a})
+            old = cost(a, b, others)
+            swap(a, b, others)
+            if cost(a, b, others) < old - 1e-12:
+                at[p], at[p + 1], better = b, a, True
             else:
-                label[a], label[b] = p, p + 1
+                swap(a, b, others)
         if not better:
             break
     return label

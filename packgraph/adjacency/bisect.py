@@ -125,7 +125,7 @@ def cmb_permuter(g: Graph, levels: int, inner: str = "odb", rounds: int = 4) ->
         elif len(ids) <= 8:
             label = odb_solve(len(ids), edges)[1]
         else:
-            label = local_search(len(ids), edges) if len(ids) <= 400 else list(range(1, len(ids) + 1))
+            label = local_search(len(ids), edges)
         return pa.table({"id": ids, "path": [v["path"][0].as_py()] * len(ids), "local": pa.array(label, pa.int64())})
 
     solved = parts.groupBy("path").cogroup(inside.groupBy("path")).applyInArrow(solve, "id long, path string, local long")

@@ -4,6 +4,7 @@ import pytest
 from conftest import SF
 from pyspark.sql import functions as F
 
+from packgraph.adjacency.arrange import local_search
 from packgraph.adjacency.bisect import bisect, bisect_level, brb_permuter, cmb_permuter, cut_profile, rb_permuter, shadow_pointers, whole
 from packgraph.adjacency.permute import degree_permuter, is_bijection
 from packgraph.algos.traverse import betweenness, bfs, connected_components, sssp, triangle_counts
@@ -123,6 +124,14 @@ def test_entry():
     assert set(e.oracle_sql()) <= set(e.queries())
 
 
+def test_large_clusters_are_solved(spark):
+    n = 420
+    edges = [tuple(sorted((k * 37 % n, (k + 1) * 37 % n))) for k in range(n - 1)]
+    g = Graph("far", n, spark.createDataFrame([(a + 1, b + 1, 1) for a, b in edges], "src long, dst long, w long"))
+    got = [r["new_id"] for r in cmb_permuter(g, 0).orderBy("id").collect()]
+    assert got == local_search(n, edges) != list(range(1, n + 1))
+
+
 def test_bit_vectors_of_all_vertices(spark, con):
     from packgraph.functions.sql_surface import ORACLES, QUERIES
 

@@ -109,3 +109,21 @@ def test_widths_and_bounds():
     assert abs(bound_graph(2**42, 2**46) / 8e12 - 338) < 8
     a, o = expected_size_er(1024, 0.1, 256)
     assert a == 0.1 * 1024 * 1023 * 18 and o == 1024 * 17
+
+
+@pytest.mark.parametrize("kind", KINDS)
+def test_local_search_equals_whole_costs(kind):
+    rng = np.random.default_rng(6)
+    for n in (2, 9, 40):
+        edges = sorted({tuple(sorted(rng.choice(n, 2, replace=False).tolist())) for _ in range(2 * n)})
+        near = _near(n, edges)
+        order = sorted(range(n), key=lambda v: (len(near[v]), v))
+        label = [order.index(v) + 1 for v in range(n)]
+        for _ in range(4):
+            for p in range(1, n):
+                a, b = label.index(p), label.index(p + 1)
+                old = _cost(near, label, kind)
+                label[a], label[b] = p + 1, p
+                if _cost(near, label, kind) >= old - 1e-12:
+                    label[a], label[b] = p, p + 1
+        assert abs(_cost(near, local_search(n, edges, kind), kind) - _cost(near, label, kind)) < 1e-6
