@@ -140,14 +140,12 @@ def cut_profile(g: Graph, parts: DataFrame) -> DataFrame:
     return j.withColumn("level", level.cast("long")).groupBy("level").agg(F.count("*").alias("edge_cut"))
 
 
-def vertex_cut(g: Graph, sides: DataFrame, most: int = 40) -> DataFrame:
+def vertex_cut(g: Graph, sides: DataFrame) -> DataFrame:
     """(id): a set of vertices that covers every cut edge, by rounds: who has the most open cut edges among its cut neighbours, ties by id, is taken."""
     s = sides.select("id", "side")
     open_ = g.cells().select("v", "u").join(s.select(F.col("id").alias("v"), F.col("side").alias("a")), "v").join(s.select(F.col("id").alias("u"), F.col("side").alias("b")), "u").where("a != b").select("v", "u")
     open_, out = written(open_, "open"), None
-    for _ in range(most):
-        if open_.isEmpty():
-            break
+    while not open_.isEmpty():  # a round takes one vertex at least
         d = open_.groupBy("v").agg(F.count("*").alias("d"))
         rival = open_.join(d.select(F.col("v").alias("u"), F.col("d").alias("du")), "u").groupBy("v").agg(F.max(F.struct("du", (-F.col("u")).alias("nu"))).alias("m"))
         top = written(d.join(rival, "v").where("struct(d, -v) > struct(m.du, m.nu)").select(F.col("v").alias("id")), "top")

@@ -5,7 +5,7 @@ from conftest import SF
 from pyspark.sql import functions as F
 
 from packgraph.adjacency.arrange import local_search
-from packgraph.adjacency.bisect import bisect, bisect_level, brb_permuter, cmb_permuter, cut_profile, rb_permuter, shadow_pointers, whole
+from packgraph.adjacency.bisect import bisect, bisect_level, brb_permuter, cmb_permuter, cut_profile, rb_permuter, shadow_pointers, vertex_cut, whole
 from packgraph.adjacency.permute import degree_permuter, is_bijection
 from packgraph.algos.traverse import betweenness, bfs, connected_components, sssp, triangle_counts
 from packgraph.core.compressed import TRANSFORMERS, CompressedGraph
@@ -124,6 +124,13 @@ def test_entry():
     assert set(e.oracle_sql()) <= set(e.queries())
 
 
+def test_vertex_cut_covers_a_long_path(spark):
+    """Ascending ids along a cut path: a round takes one vertex."""
+    path = Graph("path", 91, spark.range(1, 91).select(F.col("id").alias("src"), (F.col("id") + 1).alias("dst"), F.lit(1).cast("long").alias("w")))
+    taken = {r["id"] for r in vertex_cut(path, path.vertices().select("id", (F.col("id") % 2).alias("side"))).collect()}
+    assert all(k in taken or k + 1 in taken for k in range(1, 91))
+
+
 def test_large_clusters_are_solved(spark):
     n = 420
     edges = [tuple(sorted((k * 37 % n, (k + 1) * 37 % n))) for k in range(n - 1)]
