@@ -162,9 +162,8 @@ def shadow_pointers(g: Graph, sides: DataFrame) -> DataFrame:
     return cut.agg(F.count("*").alias("edge_cut")).join(F.broadcast(sep.agg(F.count("*").alias("vertex_cut"))), F.lit(True)).withColumn("shadow_pointers", F.col("vertex_cut"))
 
 
-def _level1(spark: SparkSession, sf_dir: str) -> DataFrame:
-    g = derive.load(spark, sf_dir, "g_page_link")
-    return bisect(g, 1, 0)
+def _level1(rounds: int):
+    return lambda spark, sf_dir: bisect(derive.load(spark, sf_dir, "g_page_link"), 1, rounds)
 
 
 def _gains(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -185,10 +184,14 @@ def _cmb(inner: str):
     return lambda spark, sf_dir: cmb_permuter(derive.load(spark, sf_dir, "g_page_link"), 3, inner, 2)
 
 
-def _profile(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Cut edges by level of the tree that halves by id alone."""
-    g = derive.load(spark, sf_dir, "g_page_link")
-    return cut_profile(g, bisect(g, 3, 0))
+def _profile(rounds: int):
+    """Cut edges by level of the tree; without rounds, of the one that halves by id alone."""
+
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        g = derive.load(spark, sf_dir, "g_page_link")
+        return cut_profile(g, bisect(g, 3, rounds))
+
+    return query
 
 
 def _imbalance(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -216,7 +219,7 @@ def _brb_levels(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _SIDES = "ids AS (SELECT unnest(range(1, (SELECT n FROM nv) + 1)) AS id), sd AS (SELECT id, CASE WHEN 2 * (row_number() OVER (ORDER BY id) - 1) < (SELECT n FROM nv) THEN 0 ELSE 1 END AS side FROM ids)"
-QUERIES = {"rb_level1": _level1, "rb_gains": _gains, "rb_labels": _rb, "brb_prefixes": _brb, "cmb_labels": _cmb("odb"), "cmb_dm_labels": _cmb("dm"), "cut_profile": _profile, "cuts_by_imbalance": _imbalance, "shadow_pointers": _shadow, "exp_brb_levels": _brb_levels}
+QUERIES = {"rb_level1": _level1(0), "rb_level1_refined": _level1(4), "rb_gains": _gains, "rb_labels": _rb, "brb_prefixes": _brb, "cmb_labels": _cmb("odb"), "cmb_dm_labels": _cmb("dm"), "cut_profile": _profile(0), "cut_profile_refined": _profile(4), "cuts_by_imbalance": _imbalance, "shadow_pointers": _shadow, "exp_brb_levels": _brb_levels}
 ORACLES = {
     "rb_level1": derive.with_graph("g_page_link", _SIDES) + "SELECT id, CAST(side AS VARCHAR) AS path FROM sd",
     "rb_gains": derive.with_graph("g_page_link", _SIDES) + "SELECT sd.id, sd.side, CAST(coalesce(g, 0) AS BIGINT) AS gain FROM sd LEFT JOIN (SELECT v, sum(CASE WHEN a.side <> b.side THEN 1 ELSE -1 END) AS g FROM cells JOIN sd a ON a.id = v JOIN sd b ON b.id = u GROUP BY v) q ON q.v = sd.id",

@@ -155,3 +155,23 @@ def test_all_events_are_inserted(spark):
         zero += min(r["h"], k + 1) <= zero
     got = sorted(r["place"] for r in btree_insert(spark, SF).collect())
     assert got == [k for k in range(len(events) + 1) if k != zero]
+
+
+def test_refinement(spark):
+    """Queries that refine cut fewer edges than halves by id, and the cut of two mixed cliques is near the best of all halves."""
+    import itertools
+
+    from packgraph.registry import QUERIES
+
+    edges = derive.load(spark, SF, "g_page_link").edges.collect()
+    cuts = []
+    for name in ("rb_level1", "rb_level1_refined"):
+        side = {r["id"]: r["path"] for r in QUERIES[name](spark, SF).collect()}
+        assert abs(2 * sum(x == "0" for x in side.values()) - len(side)) <= 1
+        cuts.append(sum(side[e["src"]] != side[e["dst"]] for e in edges))
+    assert cuts[1] < cuts[0]
+    pairs = [(a, b) for a in range(1, 11) for b in range(a + 1, 11) if a % 2 == b % 2] + [(1, 2)]
+    g = Graph("mixed", 10, spark.createDataFrame([(a, b, 1) for a, b in pairs], "src long, dst long, w long"))
+    every = [sum((a in h) != (b in h) for a, b in pairs) for h in itertools.combinations(range(1, 11), 5)]
+    start, got = (cut_profile(g, bisect(g, 1, k)).first()["edge_cut"] for k in (0, 4))
+    assert min(every) <= got < start
