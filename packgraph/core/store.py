@@ -44,10 +44,16 @@ def _tidy() -> None:
 atexit.register(_tidy)
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    spark = df.sparkSession
+def kept_folder(spark: SparkSession, name: str) -> str:
+    """A new path in the shared folder, which goes with the others when the application ends."""
     path = f"{shared_folder(spark)}/packgraph-{name}-{uuid.uuid4().hex}"
     _made.append((spark, path))
+    return path
+
+
+def written(df: DataFrame, name: str) -> DataFrame:
+    spark = df.sparkSession
+    path = kept_folder(spark, name)
     df.write.option("compression", "zstd").parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._packgraph_path = path
