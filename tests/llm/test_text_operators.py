@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from packgraph.llm.byte_bpe import decode_documents, encode_documents, load_ranks, words
 from packgraph.llm.common import components
 from packgraph.llm.host_rules import HostRules, filter_hosts, host_quality
-from packgraph.llm.line_dedup import KEYS, band_keys, dedup_lines
+from packgraph.llm.line_dedup import dedup_lines
 from packgraph.llm.ngram_join import SignatureTree, folded, jaccard_components, need, traverse
 from packgraph.llm.packing import column_generation, knapsack, pack_documents, plan
 from packgraph.llm.substring_dedup import COVER, PERIOD, remove_substrings, substring_report
@@ -170,8 +170,7 @@ def test_signature_tree_loses_no_link():
         bits.append(np.packbits(b, bitorder="little").tobytes())
     order = np.argsort(n, kind="stable")
     tree = SignatureTree(n[order], folded([bits[k] for k in order], 16), np.arange(len(sets)))
-    p, q = traverse(tree, tree, 80, True)
-    found = {frozenset((order[a], order[b])) for a, b in zip(p, q)}
+    found = {frozenset((order[a], order[b])) for p, q in traverse(tree, tree, 80, True) for a, b in zip(p, q)}
     want = {frozenset((a, b)) for a in range(len(sets)) for b in range(a) if len(sets[a] & sets[b]) >= need(n[a], n[b], 80)}
     assert want <= found
     assert len(found) < len(sets) * (len(sets) - 1) / 4
@@ -203,9 +202,7 @@ def test_substring_dedup(docs, none):
 
 
 def line_set(line):
-    if len(line) < 12:
-        return {line}
-    return {m[1] for m in re.finditer(r"(?s)(?=(.{12}))(?:\S{1,16}(?!\S)\s*|\S)", line)}
+    return {line[k : k + 12] for k in range(max(1, len(line) - 11))}
 
 
 def test_line_dedup(spark, docs, none):
@@ -278,10 +275,51 @@ def test_line_dedup_of_ends_and_short_lines(spark):
     assert gone == {len(apart) + 2 * k + 1 for k in range(len(near))}
 
 
-def test_repeated_shingles_take_one_key(spark):
-    line = spark.createDataFrame([("again and again we say " * 12 + "to the one who does not want to hear of it at all",)], "line string")
-    keys = line.select(band_keys(F.col("line"), 0.8)).first()[0]
-    assert len(keys) == len(set(keys)) == KEYS
+def test_line_dedup_of_edges(spark):
+    lines = ["Invoice for the customer with number 4711", "Invoice for the customer with number 0815", "=" * 100, "=" * 300, None, "", "kürz", "kürz"]
+    rows = [(k, x, "s") for k, x in enumerate(lines)] + [(None, "kürz", "s"), (7, "kürz", "s"), (8, "one\ntwo", "s"), (8, "two\none", "s")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, removed_lines string")
+    out = dedup_lines(docs)
+    assert out.columns == ["doc_id", "text", "removed_lines", "_removed_lines"]
+    got = Counter((r["doc_id"], r["text"], tuple(r["_removed_lines"])) for r in out.collect())
+    want = [(0, lines[0], ()), (1, lines[1], ()), (2, lines[2], ()), (3, "", (0,)), (4, None, ()), (5, "", ()), (6, "kürz", ()), (7, "", (0,)), (7, "", (0,)), (None, "kürz", ()), (8, "one", (1,)), (8, "two", (1,))]
+    assert got == Counter(want)
+
+
+def test_line_dedup_recall(spark):
+    """All similar pairs of the lines of sf0.01, by an index of all runs of 12 characters, against the operator's components."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    rows = sorted((r["doc_id"], r["text"] or "") for r in docs.collect())
+    first = {}
+    for i, text in rows:
+        for p, line in enumerate(text.split("\n")):
+            if re.search(r"\S", line, re.A):
+                first.setdefault(line, (i, p))
+    lines = sorted(first, key=first.get)
+    often = Counter(x for line in lines for x in line_set(line))
+    held, links, root = defaultdict(list), 0, list(range(len(lines)))
+
+    def find(x):
+        while root[x] != x:
+            root[x] = x = root[root[x]]
+        return x
+
+    sets = {}
+    for k in sorted(range(len(lines)), key=lambda k: len(line_set(lines[k]))):
+        s = sets[k] = line_set(lines[k])
+        rare = sorted(s, key=lambda x: (often[x], x))[: len(s) - -(-4 * len(s) // 5) + 1]
+        for o in {o for x in rare for o in held[x]}:
+            both = len(s & sets[o])
+            if both * 10 >= 8 * (len(s) + len(sets[o]) - both):
+                links += 1
+                a, b = sorted((find(k), find(o)))
+                root[b] = a
+        for x in rare:
+            held[x].append(k)
+    gone = {(r["doc_id"], p) for r in dedup_lines(docs).collect() for p in r["removed_lines"]}
+    number = {x: k for k, x in enumerate(lines)}
+    want = {(i, p) for i, text in rows for p, line in enumerate(text.split("\n")) if line in first and (i, p) != first[lines[find(number[line])]]}
+    assert links > 50 and gone <= want and len(gone) >= 0.99 * len(want)
 
 
 def test_knapsack_and_plan():
