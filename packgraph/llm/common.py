@@ -12,9 +12,9 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..core.store import drop, reclaim, remove, shared_folder, tables, written
+from ..core.store import drop, kept_folder, reclaim, remove, shared_folder, tables, written
 
-__all__ = ["components", "drop", "exchange_flags", "fresh", "pack", "reclaim", "remove", "shared_folder", "tables", "text_bytes", "to_blocks", "unpack", "written"]
+__all__ = ["components", "drop", "exchange_flags", "fresh", "kept_folder", "pack", "reclaim", "remove", "shared_folder", "tables", "text_bytes", "to_blocks", "unpack", "written"]
 
 
 def text_bytes(docs: DataFrame, column: str = "text") -> int:

@@ -15,6 +15,8 @@ judged one by one, so repeated rows agree; no rows give no rows; extra columns a
 from __future__ import annotations
 
 import re
+import sys
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -24,11 +26,18 @@ from pyspark.sql import functions as F
 
 #: A run of letters, of at most this many characters at a time (longer ones are scored in parts).
 LONGEST = 24
-_WORD = re.compile(r"[^\W\d_]{1,%d}" % LONGEST)
+#: Numbers that are neither letters nor decimal digits (superscripts, fractions, Roman numerals), which \\w holds too.
+_NUMBERS = "".join(c for c in map(chr, range(sys.maxunicode + 1)) if c.isalnum() and not c.isalpha() and not c.isdecimal())
+_WORD = re.compile(rf"[^\W\d_{_NUMBERS}]{{1,{LONGEST}}}")
 MARK = "▁"
-ROWS_PER_LANGUAGE = 1500
-WORDS_PER_LANGUAGE = 30_000
+ROWS_PER_LANGUAGE = 400
 KNOWN_WORDS = 600_000
+PART = 20_000
+
+
+def letters(text: str | None) -> list[str]:
+    """The text's words in lower case, for training and prediction alike."""
+    return _WORD.findall(text.lower()) if text else []
 
 
 def vocabulary(path: str) -> list[str]:
@@ -116,16 +125,21 @@ def fit(counts: list[tuple[str, str, int]], shares: dict[str, int], pieces: list
     for language, word, n in counts:
         weight[row[word], col[language]] += n
     index = {p: k for k, p in enumerate(pieces)}
-    lattice = Lattice(words, index, max(map(len, pieces)))
+    longest = max(map(len, pieces))
+    order = sorted(range(len(words)), key=lambda k: len(words[k]))  # words of one length together: tables of a part are as wide as its longest
+    parts = [order[i : i + PART] for i in range(0, len(order), PART)]
+    lattices = [Lattice([words[k] for k in part], index, longest) for part in parts]
+    weights = [weight[part] for part in parts]
     use = np.zeros((len(pieces) + 1, len(languages)))
-    np.add.at(use, lattice.piece, weight[lattice.word])  # to begin with: every piece wherever it fits
+    for x, w in zip(lattices, weights):
+        np.add.at(use, x.piece, w[x.word])  # to begin with: every piece wherever it fits
     for _ in range(rounds + 1):
         prob = use / np.maximum(use.sum(axis=0), 1e-300)
         prob = (1 - shared) * prob + shared * prob.mean(axis=1, keepdims=True) + floor
         prob[-1] = np.minimum(prob[-1], floor)
         prob /= prob.sum(axis=0)
         if _ < rounds:
-            use = lattice.expected(prob, weight)
+            use = sum(x.expected(prob, w) for x, w in zip(lattices, weights))
     seen = np.flatnonzero(use[:-1].sum(axis=1) > 0)  # others differ in no language and only cost lookups; single characters stay
     keep = sorted({*seen.tolist(), *(index[p] for p in pieces if len(p) == 1)})
     prior = np.log(np.array([shares.get(x, 0) + 1.0 for x in languages]) / sum(shares.get(x, 0) + 1 for x in languages))
@@ -158,7 +172,7 @@ class Scorer:
         for i in range(0, len(texts), 256):
             if len(self.table) > self.known:
                 self._reset()
-            found = [_WORD.findall(t.lower()) if t else [] for t in texts[i : i + 256]]
+            found = [letters(t) for t in texts[i : i + 256]]
             number = self.table.__getitem__
             rows = [list(map(number, w)) for w in found]
             if self.table.new:
@@ -185,18 +199,35 @@ def held_out(doc_id: str = "doc_id"):
     return F.coalesce(F.pmod(F.crc32(F.col(doc_id).cast("string").cast("binary")), F.lit(4)) == 2, F.lit(False))
 
 
-def train(docs: DataFrame, vocabulary_path: str, rows_per_language: int = ROWS_PER_LANGUAGE, words_per_language: int = WORDS_PER_LANGUAGE) -> Model | None:
-    """Fits on (doc_id, text, lang): at most ``rows_per_language`` rows a language, chosen by a hash of the id, and
-    their ``words_per_language`` most frequent words. Languages' shares come from all rows."""
-    labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull())
-    order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    chosen = labelled.select("doc_id", "lang").withColumn("_k", F.row_number().over(order)).where(F.col("_k") <= rows_per_language).select("doc_id", "lang")
-    sample = labelled.join(F.broadcast(chosen.distinct()), ["doc_id", "lang"])
-    words = sample.select("lang", F.explode(F.regexp_extract_all(F.lower("text"), F.lit(r"(\p{L}{1,%d})" % LONGEST), F.lit(1))).alias("word"))
-    counted = words.groupBy("lang", "word").agg(F.count("*").alias("n"))
-    top = counted.withColumn("_k", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "word"))).where(F.col("_k") <= words_per_language)
-    counts = [(r["lang"], r["word"], r["n"]) for r in top.select("lang", "word", "n").collect()]
-    shares = {r["lang"]: r["count"] for r in labelled.groupBy("lang").count().collect()}
+def sample(labelled: DataFrame, most: int) -> tuple[DataFrame, dict[str, int]]:
+    """(at most ``most`` rows a language, those of the smallest hashes of doc_id; rows a language).
+
+    Hashes above a bound that leaves about twice as many go first, so that no language is sorted whole in one task.
+    """
+    shares = {r["lang"]: r["count"] for r in labelled.groupBy("lang").count().collect()}  # a row a language
+    if not shares:
+        return labelled, shares
+    share = F.create_map(*[F.lit(x) for k, n in shares.items() for x in (k, min(1.0, (2 * most + 100) / n))])
+    place = F.xxhash64("doc_id") / F.lit(2.0**64) + 0.5
+    few = labelled.withColumn("_place", place).where(F.col("_place") <= F.element_at(share, F.col("lang")))
+    order = Window.partitionBy("lang").orderBy("_place", "doc_id", F.xxhash64("text"))
+    return few.withColumn("_k", F.row_number().over(order)).where(F.col("_k") <= most).select("lang", "text"), shares
+
+
+def train(docs: DataFrame, vocabulary_path: str, rows_per_language: int = ROWS_PER_LANGUAGE) -> Model | None:
+    """Fits on (doc_id, text, lang): all words of at most ``rows_per_language`` rows a language, chosen by a hash of
+    the id. Languages' shares come from all rows."""
+    labelled = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull()).select("doc_id", "lang", "text")
+    chosen, shares = sample(labelled, rows_per_language)
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for lang, text in zip(b.column(0).to_pylist(), b.column(1)):
+                c = Counter(letters(text.as_py()))
+                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(c), pa.string()), pa.array(list(c), pa.string()), pa.array(list(c.values()), pa.int64())], names=["lang", "word", "n"])
+
+    counted = chosen.mapInArrow(count, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
+    counts = [(r["lang"], r["word"], r["n"]) for r in counted.collect()]  # the words of a bounded sample
     return fit(counts, shares, vocabulary(vocabulary_path))
 
 

@@ -13,12 +13,13 @@
    traversed against each other; a pair of nodes is left as soon as the sizes or the largest possible overlap
    rule out a link, or both lie in one component. Groups are cut by size band (only neighbouring bands can link)
    and large bands into chunks, each pair of chunks a unit of its own.
-   First only the best pairs of each two components are looked at, then all pairs of those still apart.
-6. Pairs that remain are compared exactly; components of all links give the result.
+6. The sets of a task's documents come to it once each. Pairs that the bounds leave are compared exactly there, each
+   document's best pair first; pairs whose ends are joined by then are passed over. A task gives the links that join
+   something new, a forest; components of all links give the result.
 
 Defined results: a text without words has the empty set and no link; with fewer words than a
 shingle the whole sequence is one shingle; repeated rows link; null text is empty; extra columns are ignored;
-no rows give no rows.
+a row with a null id gets its copies' component, or null; rows of one id must have one text; no rows give no rows.
 """
 
 from __future__ import annotations
@@ -27,12 +28,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import words as W
-from .common import components, drop, exchange_flags, reclaim, text_bytes, to_blocks, unpack, written
+from .common import components, drop, exchange_flags, text_bytes, to_blocks, unpack, written
 from .substring_dedup import deal, flags_of, n_buckets
 
 SKETCH_PARTS = 64
@@ -164,18 +166,21 @@ def raised(x: bytes) -> np.ndarray:
     return raw.view("<u8").ravel()
 
 
-def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
-    """Those pairs (a, b) of doc_ids whose sets link. Sets move once for each b, grouped under a."""
-    ids = written(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct(), "ids")
-    some = ids.count()
-    wanted = docs.join(F.broadcast(ids) if some <= BROADCAST_IDS else ids, "doc_id", "left_semi")
+def sets_of(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
+    """doc_id, h (the set, ``KEY_BYTES`` a shingle) of the ids in the written table ``ids``, written; a row an id."""
+    wanted = docs.join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, "doc_id", "left_semi")
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for rows in W.bites(b, 1):
                 yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([low(x) for x in shingles(rows.column(1), k)[0]], pa.binary())], names=["doc_id", "h"])
 
-    sets = written(wanted.select("doc_id", "text").dropDuplicates(["doc_id"]).mapInArrow(W.trimmed(make), "doc_id long, h binary"), "sets") if some > BROADCAST_IDS else written(wanted.select("doc_id", "text").mapInArrow(W.trimmed(make), "doc_id long, h binary"), "sets")
+    return written(wanted.select("doc_id", "text").mapInArrow(W.trimmed(make), "doc_id long, h binary").groupBy("doc_id").agg(F.max("h").alias("h")), "sets")
+
+
+def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
+    """Those pairs (a, b) of doc_ids whose sets link. Sets move once for each b, grouped under a."""
+    sets = sets_of(docs, written(pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct(), "ids"), k)
     with_b = pairs.join(sets.select(F.col("doc_id").alias("b"), F.col("h").alias("hb")), "b")
     both = with_b.join(sets.select(F.col("doc_id").alias("a"), F.col("h").alias("ha")), "a").select("a", "b", "ha", "hb")
 
@@ -187,17 +192,22 @@ def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFra
             for r in range(t.num_rows):
                 if a[r] != was:
                     was, x = a[r], raised(t.column(2)[r].as_py())
-                y = raised(t.column(3)[r].as_py())
-                if 100 * min(len(x), len(y)) >= percent * max(len(x), len(y)):
-                    z = np.concatenate([x, y])
-                    z.sort()
-                    both_n = int((z[1:] == z[:-1]).sum())
-                    ok[r] = 100 * both_n >= percent * (len(x) + len(y) - both_n)
+                ok[r] = linked(x, raised(t.column(3)[r].as_py()), percent)
             yield t.select(["a", "b"]).filter(pa.array(ok))
 
     return both.mapInArrow(W.trimmed(compare), "a long, b long")
 
 
+def linked(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    """Whether two sets (ascending) link."""
+    if 100 * min(len(x), len(y)) < percent * max(len(x), len(y)):
+        return False
+    z = np.concatenate([x, y])
+    z.sort()
+    both = int((z[1:] == z[:-1]).sum())
+    return 100 * both >= percent * (len(x) + len(y) - both)
+
+
 # --- signature trees ----------------------------------------------------------------------------
 
 
@@ -221,40 +231,45 @@ class SignatureTree:
         self.fan = fan
 
 
-def traverse(x: SignatureTree, y: SignatureTree, percent: int, same: bool) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs of sets of x and y (indices; i < j if ``same``) that the bounds cannot rule out.
+def traverse(x: SignatureTree, y: SignatureTree, percent: int, same: bool) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs of sets of x and y (indices; i < j if ``same``) that the bounds cannot rule out, some at a time.
 
-    Both trees are entered at the lower root's level, so that node pairs are of one level.
+    Both trees are entered at the lower root's level, so that node pairs are of one level. Node pairs wait in a stack, the
+    lowest first, so that memory stays bounded however many pairs there are.
     """
     level = min(len(x.levels), len(y.levels)) - 1
     i, j = np.divmod(np.arange(len(x.levels[level][1]) * len(y.levels[level][1])), len(y.levels[level][1]))
     if same:
         i, j = i[i <= j], j[i <= j]
-    while True:
-        keep_i, keep_j = [], []
+    step = np.arange(x.fan)
+    stack = [(level, i, j)]
+    while stack:
+        level, i, j = stack.pop()
+        if len(i) > MOST_PAIRS:
+            stack.append((level, i[MOST_PAIRS:], j[MOST_PAIRS:]))
+            i, j = i[:MOST_PAIRS], j[:MOST_PAIRS]
         xb, xlo, xhi, xs, xc = x.levels[level]
         yb, ylo, yhi, ys, yc = y.levels[level]
-        for at in range(0, len(i), 200_000):  # bounded memory
-            p, q = i[at : at + 200_000], j[at : at + 200_000]
-            ok = (100 * xhi[p] >= percent * ylo[q]) & (100 * yhi[q] >= percent * xlo[p]) & ((xc[p] != yc[q]) | (xc[p] < 0))
-            if same and level == 0:
-                ok &= p < q
-            p, q = p[ok], q[ok]
-            # |a & b| <= common bits + shingles hidden by a shared bit, on either side
-            most = np.bitwise_count(xb[p] & yb[q]).sum(axis=1).astype(np.int64) + np.minimum(xs[p], ys[q])
-            ok = most >= need(xlo[p], ylo[q], percent)
-            keep_i.append(p[ok]), keep_j.append(q[ok])
-        i, j = (np.concatenate(v) if v else np.zeros(0, np.int64) for v in (keep_i, keep_j))
+        ok = (100 * xhi[i] >= percent * ylo[j]) & (100 * yhi[j] >= percent * xlo[i]) & ((xc[i] != yc[j]) | (xc[i] < 0))
+        if same and level == 0:
+            ok &= i < j
+        i, j = i[ok], j[ok]
+        # |a & b| <= common bits + shingles hidden by a shared bit, on either side
+        most = np.bitwise_count(xb[i] & yb[j]).sum(axis=1).astype(np.int64) + np.minimum(xs[i], ys[j])
+        ok = most >= need(xlo[i], ylo[j], percent)
+        i, j = i[ok], j[ok]
         if level == 0:
-            return i, j
+            if len(i):
+                yield i, j
+            continue
         level -= 1
-        step = np.arange(x.fan)
         a = (i[:, None, None] * x.fan + step[None, :, None] + 0 * step[None, None, :]).ravel()
         b = (j[:, None, None] * y.fan + step[None, None, :] + 0 * step[None, :, None]).ravel()
         ok = (a < len(x.levels[level][1])) & (b < len(y.levels[level][1]))
         if same:
             ok &= a <= b
-        i, j = a[ok], b[ok]
+        if ok.any():
+            stack.append((level, a[ok], b[ok]))
 
 
 def folded(bits: list[bytes], width: int) -> np.ndarray:
@@ -266,59 +281,136 @@ def folded(bits: list[bytes], width: int) -> np.ndarray:
     return out.view(np.uint64)
 
 
-def forest_pairs(percent: int, best: int | None):
-    """A grouped function: signature trees for all units of a bucket, and the pairs of sets that survive.
-
-    best: at most so many pairs, those of the largest possible overlap, for each two components (ca, cb): enough to join
-    them if they are alike; ``more`` is 1 where pairs were left out. None: all pairs.
-    """
-
-    def run(t: pa.Table) -> pa.Table:
+class Forest:
+    """Exact comparison of pairs of documents whose ends are in different components; keeps the links that joined two."""
+
+    def __init__(self, comp: np.ndarray, sets: list[bytes], percent: int):
+        self.names, self.node = np.unique(comp, return_inverse=True)
+        self.up = list(range(len(self.names)))
+        self.sets, self.percent = sets, percent
+        self.size = np.array([len(x) // KEY_BYTES for x in sets], np.int64)
+        self.mark = np.zeros(1 << 20, bool)
+        self.links: list[tuple[int, int]] = []
+        self._roots = 0, self.node
+        self.bad = np.zeros(0, np.int64)  # pairs that don't link, so that other units don't ask again
+
+    def find(self, x: int) -> int:
+        up = self.up
+        while up[x] != x:
+            up[x] = up[up[x]]
+            x = up[x]
+        return x
+
+    def roots(self) -> np.ndarray:
+        """Each document's component."""
+        if self._roots[0] != len(self.links):
+            up = np.array(self.up)
+            while not (up[up] == up).all():
+                up = up[up]
+            self._roots = len(self.links), up[self.node]
+        return self._roots[1]
+
+    def apart(self, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        r = self.roots()
+        return r[i] != r[j]
+
+    def compare(self, i: np.ndarray, j: np.ndarray, most: np.ndarray) -> None:
+        """Documents i and j, which may share ``most`` shingles."""
+        i, j = np.minimum(i, j), np.maximum(i, j)
+        key, first = np.unique(i * len(self.sets) + j, return_index=True)
+        first = first[~np.isin(key, self.bad)]
+        i, j, most = i[first], j[first], most[first]
+        ratio = most * 1000 // (self.size[i] + self.size[j] + 1)
+        # the best pair of each first, then all by document
+        order = np.lexsort((-ratio, i))
+        lead = order[np.flatnonzero(np.concatenate([[True], i[order][1:] != i[order][:-1]]))] if len(i) else order
+        failed = [self.bad]
+        for some in (lead, order):
+            some = some[self.apart(i[some], j[some])]
+            failed.append(self._each(i[some], j[some]))
+        self.bad = np.unique(np.concatenate(failed))
+
+    def _each(self, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        bad, was, x, at = [], -1, None, None
+        mask = W.U(len(self.mark) - 1)
+        for a, b in zip(i.tolist(), j.tolist()):
+            u, v = self.find(int(self.node[a])), self.find(int(self.node[b]))
+            if u == v:
+                continue
+            if a != was:
+                if at is not None:
+                    self.mark[at] = False
+                was, x = a, raised(self.sets[a])
+                at = (x & mask).astype(np.int64)
+                self.mark[at] = True
+            y = raised(self.sets[b])
+            most = int(np.count_nonzero(self.mark[(y & mask).astype(np.int64)]))  # not below the overlap
+            if 100 * most >= self.percent * (len(x) + len(y) - most) and linked(x, y, self.percent):
+                self.up[max(u, v)] = min(u, v)
+                self.links.append((a, b))
+            else:
+                bad.append(a * len(self.sets) + b)
+        if at is not None:
+            self.mark[at] = False
+        return np.array(bad, np.int64)
+
+
+MOST_PAIRS = 200_000
+
+
+def forest_links(percent: int):
+    """A cogrouped function: signature trees for all units of a task, exact comparison of what survives, and the links that join components."""
+
+    def run(t: pa.Table, s: pa.Table) -> pa.Table:
+        none = pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64())})
+        if not t.num_rows:
+            return none
         t = t.sort_by([("group", "ascending"), ("chunk", "ascending"), ("n", "ascending"), ("rep", "ascending")])
         g, chunk, own, rep, n, comp = (t[c].to_numpy() for c in ("group", "chunk", "own", "rep", "n", "comp"))
-        bits = t["bits"].to_pylist()
+        bits = t["bits"].combine_chunks()
+        order = pa.compute.sort_indices(s["rep"])
+        known = s["rep"].take(order).to_numpy()
+        doc = np.searchsorted(known, rep)  # of each row
+        names = np.zeros(len(known), np.int64)
+        names[doc] = comp
+        forest = Forest(names, s["h"].take(order).to_pylist(), percent)
         cuts = np.flatnonzero(np.concatenate([[True], (g[1:] != g[:-1]) | (chunk[1:] != chunk[:-1]), [True]]))
-        out = [np.zeros((0, 6), np.int64)]
-
-        def thin() -> np.ndarray:
-            """Each pair once; of each two components the best."""
-            x = np.concatenate(out)
-            if len(x):
-                x = x[np.lexsort((-x[:, 5], x[:, 1], x[:, 0]))]
-                x = x[np.concatenate([[True], (x[1:, :2] != x[:-1, :2]).any(axis=1)])]
-            if best is not None and len(x):
-                x = x[np.lexsort((x[:, 1], x[:, 0], -x[:, 4], x[:, 3], x[:, 2]))]
-                new = np.flatnonzero(np.concatenate([[True], (x[1:, 2:4] != x[:-1, 2:4]).any(axis=1)]))
-                size = np.diff(np.append(new, len(x)))
-                x[:, 5] |= np.repeat((size > best).astype(np.int64), size)
-                x = x[np.arange(len(x)) - np.repeat(new, size) < best]
-            return x
-
-        held = 0
+        held: list[np.ndarray] = []
+
+        def settle() -> None:
+            if held:
+                x = np.concatenate(held)
+                held.clear()
+                forest.compare(x[:, 0], x[:, 1], x[:, 2])
+
         for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist()):
-            if comp[lo:hi].min() == comp[lo:hi].max():
+            root = forest.roots()[doc[lo:hi]]
+            if root.min() == root.max():
                 continue
-            width = min(map(len, bits[lo:hi]))  # folding keeps the bound: a fold only adds common bits and slack
-            b = folded(bits[lo:hi], width)
-            i, j = lo + np.flatnonzero(own[lo:hi] == 1), lo + np.flatnonzero(own[lo:hi] == 0)
-            x = SignatureTree(n[i], b[i - lo], comp[i]) if len(i) else None
-            y = SignatureTree(n[j], b[j - lo], comp[j]) if len(j) else None
-            found = []
+            some = [x.as_py() for x in bits[lo:hi]]
+            b = folded(some, min(map(len, some)))  # folding keeps the bound: a fold only adds common bits and slack
+            i, j = np.flatnonzero(own[lo:hi] == 1), np.flatnonzero(own[lo:hi] == 0)
+            x = SignatureTree(n[lo + i], b[i], root[i]) if len(i) else None
+            y = SignatureTree(n[lo + j], b[j], root[j]) if len(j) else None
+            searches = []
             if x and chunk[lo] == 0:  # the host's own
-                p, q = traverse(x, x, percent, True)
-                found.append((i[p], i[q]))
+                searches.append((i, i, traverse(x, x, percent, True)))
             if x and y:
-                p, q = traverse(x, y, percent, False)
-                found.append((i[p], j[q]))
-            for p, q in found:
-                p, q = p[rep[p] != rep[q]], q[rep[p] != rep[q]]
-                most = np.bitwise_count(b[p - lo] & b[q - lo]).sum(axis=1).astype(np.int64) * 1000 // (n[p] + n[q])
-                out.append(np.stack([np.minimum(rep[p], rep[q]), np.maximum(rep[p], rep[q]), np.minimum(comp[p], comp[q]), np.maximum(comp[p], comp[q]), most, np.zeros(len(p), np.int64)], axis=1))
-                held += len(p)
-            if held > 500_000:
-                out, held = [thin()], 0
-        pairs = thin()
-        return pa.table({k: pa.array(pairs[:, c], pa.int64()) for k, c in (("a", 0), ("b", 1), ("ca", 2), ("cb", 3), ("more", 5))})
+                searches.append((i, j, traverse(x, y, percent, False)))
+            for left, right, found in searches:
+                for p, q in found:
+                    p, q = left[p], right[q]
+                    u, v = doc[lo + p], doc[lo + q]
+                    ok = forest.apart(u, v)
+                    most = np.bitwise_count(b[p] & b[q]).sum(axis=1).astype(np.int64)
+                    held.append(np.stack([u, v, most], axis=1)[ok])
+                    if sum(map(len, held)) > MOST_PAIRS:
+                        settle()
+        settle()
+        if not forest.links:
+            return none
+        at = np.array(forest.links)
+        return pa.table({"a": pa.array(known[at].min(axis=1), pa.int64()), "b": pa.array(known[at].max(axis=1), pa.int64())})
 
     return run
 
@@ -432,7 +524,6 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
     blocks = to_blocks(with_comp, name="prefixes")
     keys = written(reps.select("k1", "k2", "rep"), "keys")
     drop(classes)
-    reclaim(docs.sparkSession)
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -460,26 +551,14 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
     drop(blocks)
     tasks = max(64, buckets)
 
-    def search(some: DataFrame, best: int | None) -> DataFrame:
-        units = search_units(some).withColumn("task", F.pmod(F.col("key"), F.lit(tasks))).drop("key")
-        return written(units.groupBy("task").applyInArrow(forest_pairs(percent, best), "a long, b long, ca long, cb long, more long"), "pairs")
-
-    # first the best pairs of each two components
-    searched = search(found, 2)
-    reclaim(docs.sparkSession)
-    links = written(links.unionByName(verified(docs, written(searched.select("a", "b").distinct(), "pairs"), k, percent)), "links")
-    final = components(links)
-    # then all pairs of those that were not shown whole and are still apart
-    top = final.select(F.col("id").alias("c"), "root")
-    cut = searched.where("more = 1").select("ca", "cb").distinct()
-    cut = cut.join(top.withColumnRenamed("root", "ra"), cut["ca"] == top["c"], "left").drop("c").join(top.withColumnRenamed("root", "rb"), F.col("cb") == F.col("c"), "left").drop("c")
-    apart = cut.where(F.coalesce("ra", "ca") != F.coalesce("rb", "cb"))
-    comps = written(apart.select(F.col("ca").alias("comp")).union(apart.select("cb")).distinct(), "apart")
-    if not comps.isEmpty():
-        rest = found.join(comps, "comp", "left_semi").join(top, F.col("rep") == F.col("c"), "left").withColumn("comp", F.coalesce("root", "rep")).select("h", "band", "rep", "n", "comp", "bits")
-        again = search(written(rest, "members"), None)
-        links = written(links.unionByName(verified(docs, written(again.select("a", "b").distinct(), "pairs"), k, percent)), "links")
-        final = components(links)
+    def units(columns: DataFrame) -> DataFrame:
+        return search_units(columns).withColumn("task", F.pmod(F.col("key"), F.lit(tasks))).drop("key")
+
+    wanted = written(units(found.withColumn("bits", F.lit(None).cast("binary"))).select("task", "rep").distinct(), "wanted")
+    sets = sets_of(docs, written(wanted.select(F.col("rep").alias("doc_id")).distinct(), "ids"), k)
+    brought = wanted.join(sets.withColumnRenamed("doc_id", "rep"), "rep").select("task", "rep", "h")
+    new = units(found).groupBy("task").cogroup(brought.groupBy("task")).applyInArrow(forest_links(percent), "a long, b long")
+    final = components(written(links.unionByName(new), "links"))
     drop(found)
     labelled = keys.join(final, keys["rep"] == final["id"], "left").select("k1", "k2", "rep", F.coalesce("root", "rep").alias("component_id"))
     out = members_.select("doc_id", "k1", "k2", F.col("n").alias("n_shingles")).join(labelled, ["k1", "k2"], "left")

@@ -4,8 +4,8 @@ Documents are cut into pieces of ``capacity`` ids and a rest. The histogram of p
 (rounded up to ``unit`` ids: at most capacity/unit classes, whatever the corpus) is covered by
 patterns: a linear program over patterns, whose dual prices a knapsack dynamic program turns into
 the next pattern, until no pattern pays. Solutions are rounded down and the remainder, at
-most a few pieces a class, is filled by decreasing size. Pieces are ranked within their class by two-pass
-counts, and ranks are mapped to sequences by a join with the patterns (a table as small
+most a few pieces a class, is filled by decreasing size. Pieces are ranked by class and document in two passes
+(ranges of rows, then a count a range), and ranks are mapped to sequences by a join with the patterns (a table as small
 as the histogram). No pass over pieces runs in one task.
 
 Defined results: a null text is empty (its end id alone); repeated and null ids are packed row by row;
@@ -22,11 +22,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..core.ids import global_rank
 from .common import written
 from .word_tokens import encoder
 
-RANK_BUCKETS = 64
-
 
 def knapsack(sizes: np.ndarray, prices: np.ndarray, capacity: int) -> tuple[float, np.ndarray]:
     """The best multiset of items (value, count of each) by dynamic programming; sizes ascend."""
@@ -125,13 +124,12 @@ def packed(pieces: DataFrame, capacity: int = 2048, unit: int = 8) -> DataFrame:
     """Adds sequence_id and offset to a (written) table of pieces with a ``length``."""
     spark = pieces.sparkSession
     size = F.ceil(F.col("length") / unit).cast("int")
-    ranked = pieces.withColumn("_class", size).withColumn("_bucket", F.pmod(F.xxhash64("doc_id", "start"), F.lit(RANK_BUCKETS)))
-    per = ranked.groupBy("_class", "_bucket").agg(F.count("*").alias("_n"))
-    counts = {(r["_class"], r["_bucket"]): r["_n"] for r in per.collect()}  # at most capacity / unit * RANK_BUCKETS rows
-    base, total = [], {}
-    for (c, b), n in sorted(counts.items()):
-        base.append((c, b, total.get(c, 0)))
-        total[c] = total.get(c, 0) + n
+    ranked = global_rank(pieces.withColumn("_class", size), ["_class", "doc_id", "start"], "_place", 0)
+    total = {r["_class"]: r["n"] for r in ranked.groupBy("_class").agg(F.count("*").alias("n")).collect()}  # at most capacity / unit rows
+    base, at = [], 0
+    for c in sorted(total):
+        base.append((c, at))
+        at += total[c]
     sizes = np.array(sorted(total), np.int64)
     demand = np.array([total[int(c)] for c in sizes], np.int64)
     slots, used, sequence = [], dict.fromkeys(sizes.tolist(), 0), 0
@@ -141,14 +139,13 @@ def packed(pieces: DataFrame, capacity: int = 2048, unit: int = 8) -> DataFrame:
             slots.append((c, used[c], used[c] + times * k, k, sequence))
             used[c] += times * k
         sequence += times
-    bases = spark.createDataFrame(base, "_class int, _bucket long, _base long")
+    bases = spark.createDataFrame(base, "_class int, _base long")
     table = spark.createDataFrame(slots, "_class int, _lo long, _hi long, _k long, _seq long")
-    within = F.row_number().over(Window.partitionBy("_class", "_bucket").orderBy("doc_id", "start")) - 1
-    ranked = ranked.withColumn("_within", within).join(F.broadcast(bases), ["_class", "_bucket"]).withColumn("_rank", F.col("_base") + F.col("_within"))
+    ranked = ranked.join(F.broadcast(bases), "_class").withColumn("_rank", F.col("_place") - F.col("_base"))
     placed = ranked.join(F.broadcast(table), "_class").where((F.col("_rank") >= F.col("_lo")) & (F.col("_rank") < F.col("_hi")))
     placed = placed.withColumn("sequence_id", F.col("_seq") + F.floor((F.col("_rank") - F.col("_lo")) / F.col("_k")).cast("long"))
     before = F.sum("length").over(Window.partitionBy("sequence_id").orderBy(F.desc("_class"), "_rank").rowsBetween(Window.unboundedPreceding, -1))
-    return placed.withColumn("offset", F.coalesce(before, F.lit(0))).drop("_class", "_bucket", "_base", "_within", "_rank", "_lo", "_hi", "_k", "_seq")
+    return placed.withColumn("offset", F.coalesce(before, F.lit(0))).drop("_class", "_place", "_base", "_rank", "_lo", "_hi", "_k", "_seq")
 
 
 def pack_documents(docs: DataFrame, tokenizer: str, end_id: int = 1, capacity: int = 2048, unit: int = 8) -> DataFrame:

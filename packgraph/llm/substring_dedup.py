@@ -8,8 +8,8 @@ that occur twice are extended to the windows that hold them, and only those wind
 by hashes of all their words.
 
 Keys go to hash buckets as packed bytes and come back as one bit each (see
-``common.exchange_flags``): no pairs, no group larger than a bucket, whatever the passage's
-frequency. Texts travel in compressed blocks.
+``common.exchange_flags``). A block sends each key once, or twice if it holds it more often, so a passage in every
+document fills its bucket with two keys a block at most; no pairs are made. Texts travel in compressed blocks.
 
 Defined results: null and empty texts have no words and stay null or empty in ``text``;
 repeated rows count as other occurrences; no rows give no rows; extra columns go along.
@@ -89,8 +89,16 @@ def deal(keys: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.nda
     return order, some, np.append(begin, len(b))
 
 
+def sent(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(what a block sends for its keys: each once, or twice if it is there more often; the place of each key's first in it)."""
+    some, back, n = np.unique(keys, return_inverse=True, return_counts=True)
+    n = np.minimum(n, 2)
+    return np.repeat(some, n), (np.cumsum(n) - n)[back]
+
+
 def key_rows(block_id: int, keys: np.ndarray, buckets: int, size: int) -> pa.RecordBatch:
-    """The keys of a block by bucket; ``size`` low bytes of each."""
+    """What a block sends for its keys, by bucket; ``size`` low bytes of each."""
+    keys = sent(keys)[0]
     order, some, begin = deal(keys, buckets)
     raw = np.ascontiguousarray(keys[order]).view(np.uint8).reshape(-1, 8)[:, :size]
     blobs = [raw[i:j].tobytes() for i, j in zip(begin[:-1], begin[1:])]
@@ -107,6 +115,12 @@ def flags_of(keys: np.ndarray, buckets: int, flags) -> np.ndarray:
     return out
 
 
+def repeated_keys(keys: np.ndarray, buckets: int, flags) -> np.ndarray:
+    """The flags of all keys of a block, from those that came back for what it sent."""
+    some, first = sent(keys)
+    return flags_of(some, buckets, flags)[first]
+
+
 def repeats(size: int):
     """A judge: the keys (of ``size`` bytes) that occur more than once in the bucket."""
 
@@ -145,7 +159,7 @@ def repeated_windows(docs: DataFrame, text: str = "text", window: int = 35) -> t
             for i, p, f in zip(b.column(0).to_pylist(), b.column(1), b.column(2).to_pylist()):
                 x = _Block(unpack(p.as_buffer()).column(text), window)
                 at, keys = x.anchors()
-                yield key_rows(i, x.keys(x.candidates(at[flags_of(keys, buckets, f)])), buckets, 8)
+                yield key_rows(i, x.keys(x.candidates(at[repeated_keys(keys, buckets, f)])), buckets, 8)
 
     second = written(exchange_flags(with_first.mapInArrow(W.trimmed(emit_windows), kinds), repeats(8)).withColumnRenamed("flags", "flags2"), "windows")
     return blocks.join(first.join(second, "block_id", "left").hint("shuffle_hash"), "block_id", "left").select("payload", "flags1", "flags2"), buckets
@@ -155,8 +169,8 @@ def covered_words(col: pa.Array, flags1, flags2, window: int, buckets: int) -> t
     """The block and which of its words a repeated window covers."""
     x = _Block(col, window)
     at, keys = x.anchors()
-    starts = x.candidates(at[flags_of(keys, buckets, flags1)])
-    return x, x.covered(starts[flags_of(x.keys(starts), buckets, flags2)])
+    starts = x.candidates(at[repeated_keys(keys, buckets, flags1)])
+    return x, x.covered(starts[repeated_keys(x.keys(starts), buckets, flags2)])
 
 
 def kept_text(x: _Block, k: int, gone: np.ndarray) -> bytes:

@@ -12,7 +12,6 @@ stay next to each other in any order; no rows give a file without pages; extra c
 
 from __future__ import annotations
 
-import uuid
 import zlib
 from collections.abc import Iterator
 
@@ -22,8 +21,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import drop, shared_folder, text_bytes, written
-from .word_tokens import encoder, slices
+from .common import drop, kept_folder, written
+from .word_tokens import encoder
 
 PAGE_IDS = 1 << 18
 _LENGTHS = (np.arange(256)[:, None] >> np.array([0, 2, 4, 6]) & 3).astype(np.uint8) + 1  # by control byte
@@ -52,55 +51,63 @@ def vbyte_decode(control: bytes, data: bytes, n: int) -> np.ndarray:
 
 
 def encoded(docs: DataFrame, tokenizer: str, end_id: int, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, n, ids (two bytes each where all ids allow it, else four; the end id last)."""
+    """doc_id, n, ids (two bytes each where all ids allow it, else four; the end id last), and each task's counts.
+
+    A task's last row has no ids but ``counts``: how often it saw each id, eight bytes a value.
+    """
     kind = dict(docs.dtypes)[doc_id]
+    names = ["doc_id", "n", "ids", "counts"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = encoder(tokenizer)
-        width = "<u2" if encode.tokenizer.get_vocab_size(True) <= 1 << 16 and end_id < 1 << 16 else "<u4"
+        most = max(encode.tokenizer.get_vocab_size(True), end_id + 1)
+        width = "<u2" if most <= 1 << 16 else "<u4"
+        total = np.zeros(most, np.int64)
+        id_type = None
         for b in batches:
+            id_type = b.schema.field(0).type
             for i in range(0, b.num_rows, 512):
                 rows = b.slice(i, 512)
                 ids = [np.append(x, np.uint32(end_id)).astype(width) for x in encode(rows.column(1).to_pylist())]
-                yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([len(x) for x in ids], pa.int64()), pa.array([x.tobytes() for x in ids], pa.binary())], names=["doc_id", "n", "ids"])
+                total += np.bincount(np.concatenate(ids), minlength=most)
+                yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([len(x) for x in ids], pa.int64()), pa.array([x.tobytes() for x in ids], pa.binary()), pa.nulls(len(ids), pa.binary())], names=names)
+        if id_type is not None:
+            yield pa.RecordBatch.from_arrays([pa.nulls(1, id_type), pa.nulls(1, pa.int64()), pa.nulls(1, pa.binary()), pa.array([total.astype("<i8").tobytes()], pa.binary())], names=names)
 
-    return docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, f"doc_id {kind}, n long, ids binary")
+    return docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, f"doc_id {kind}, n long, ids binary, counts binary")
 
 
 def wide(ids: bytes, n: int) -> np.ndarray:
     return np.frombuffer(ids, "<u2" if len(ids) == 2 * n else "<u4").astype(np.uint32)
 
 
-def ranks_of(ids: DataFrame) -> np.ndarray:
-    """All ids that occur, the most frequent first. At most the tokenizer's vocabulary reaches the driver."""
+def counts_of(ids: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """(ids that occur, the most frequent first; how often). At most the tokenizer's vocabulary reaches the driver."""
 
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(1, np.int64)
+    def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for i in range(0, b.num_rows, 512):
-                rows = b.slice(i, 512)
-                c = np.bincount(wide(b"".join(rows.column(1).to_pylist()), sum(rows.column(0).to_pylist())))
-                if len(c) > len(total):
-                    total = np.pad(total, (0, len(c) - len(total)))
-                total[: len(c)] += c
-        at = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(total[at], pa.int64())], names=["id", "c"])
+            for x in b.column(0).to_pylist():
+                c = np.frombuffer(x, "<i8")
+                at = np.flatnonzero(c)
+                yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(c[at], pa.int64())], names=["id", "c"])
 
-    got = ids.select("n", "ids").mapInArrow(count, "id long, c long").groupBy("id").agg(F.sum("c").alias("c")).toPandas()
-    return got.sort_values(["c", "id"], ascending=[False, True])["id"].to_numpy(np.int64)
+    some = ids.where("counts IS NOT NULL").select("counts")
+    got = some.mapInArrow(spread, "id long, c long").groupBy("id").agg(F.sum("c").alias("c")).toPandas()
+    got = got.sort_values(["c", "id"], ascending=[False, True])
+    return got["id"].to_numpy(np.int64), got["c"].to_numpy(np.int64)
 
 
 PAGE = "part int, page int, at long, n_ids long, docs binary, doc_ids binary, control binary, data binary"
 
 
-def write_token_file(docs: DataFrame, path: str, tokenizer: str, end_id: int, doc_id: str = "doc_id", text: str = "text", part_bytes: int = 32 << 20) -> None:
+def write_token_file(docs: DataFrame, path: str, tokenizer: str, end_id: int, doc_id: str = "doc_id", text: str = "text", part_ids: int = 8 << 20) -> None:
     """Encodes every text and writes the file. doc_id must be an integer column."""
     spark = docs.sparkSession
     ids = written(encoded(docs, tokenizer, end_id, doc_id, text), "ids")
-    by_rank = ranks_of(ids)
+    by_rank, often = counts_of(ids)
     rank = np.zeros(int(by_rank.max(initial=0)) + 1, np.uint32)
     rank[by_rank] = np.arange(len(by_rank))
-    parts = max(1, text_bytes(docs, text) // part_bytes)
+    parts = max(1, int(often.sum()) // part_ids)
 
     def pages(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, page, at = TaskContext.get().partitionId(), 0, 0
@@ -125,7 +132,7 @@ def write_token_file(docs: DataFrame, path: str, tokenizer: str, end_id: int, do
         if held:
             yield row()
 
-    dealt = ids.repartitionByRange(int(parts), "doc_id").sortWithinPartitions("doc_id")
+    dealt = ids.where("counts IS NULL").select("doc_id", "n", "ids").repartitionByRange(parts, "doc_id").sortWithinPartitions("doc_id")
     dealt.mapInArrow(pages, PAGE).write.parquet(f"{path}/pages")
     spark.createDataFrame([(by_rank.astype("<u4").tobytes(),)], "ids binary").write.parquet(f"{path}/ranks")
     drop(ids)
@@ -158,7 +165,7 @@ def read_token_file(spark: SparkSession, path: str, digest: bool = False) -> Dat
 def op1_token_file(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    path = f"{shared_folder(spark)}/packgraph-tokens-{uuid.uuid4().hex}"
+    path = kept_folder(spark, "tokens")
     write_token_file(spark.read.parquet(f"{sf_dir}/documents.parquet"), path, public_tokenizers.path("word_bpe_49k.json"), end_id=1)
     return read_token_file(spark, path, digest=True)
 

@@ -48,13 +48,17 @@ class ChunkEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True  # a special token's text in a document is ordinary text
+        added = sorted((t.content for t in self.tokenizer.get_added_tokens_decoder().values()), key=len, reverse=True)
+        # chunks that hold an added token's text go to the library as they are; such texts must hold no white space
+        self.added = re.compile("|".join(map(re.escape, added)), re.IGNORECASE) if added else None
+        if any(re.search(r"\s", x) for x in added):
+            raise ValueError("an added token holds white space")
         self.known, self.cache, self.letters = _Known({}), cache, letters
         self.ends = {c: self._one(c) for c in ".,"}
 
     def _one(self, chunk: str) -> bytes:
         """The ids of a chunk; one of plain letters is a single word for the library's model."""
-        if self.letters and chunk.isalpha() and _PLAIN.fullmatch(chunk):
+        if self.letters and chunk.isalpha() and _PLAIN.fullmatch(chunk) and not (self.added and self.added.search(chunk)):
             if not chunk.isascii():
                 chunk = chunk.encode().decode("latin-1").translate(_BYTE_ALPHABET)
             ids = [t.id for t in self.tokenizer.model.tokenize(chunk)]
@@ -67,7 +71,7 @@ class ChunkEncoder:
         known, old = self.known, self.known.old
         for c in known.new:
             base, end = c, None
-            if self.letters and (c.isascii() or _PLAIN.fullmatch(c)):
+            if self.letters and (c.isascii() or _PLAIN.fullmatch(c)) and not (self.added and self.added.search(c)):
                 base = c.lower()
                 if base[-1:] in (".", ",") and base[-2:-1].isalpha():
                     base, end = base[:-1], base[-1]
