@@ -13,9 +13,9 @@ from pyspark.sql import functions as F
 from ..core.compressed import CompressedGraph
 from ..core.ids import global_rank
 from ..core.model import Graph
-from ..core.store import written
+from ..core.store import drop, written
 from ..graphs import derive
-from .arrange import arrangement_cost, local_search, odb_solve
+from .arrange import arrangement_cost, local_search, odb_solve, pod_solve
 from .transform import GapVarint
 
 
@@ -24,11 +24,28 @@ def whole(g: Graph) -> DataFrame:
     return g.vertices().select("id", F.lit("").alias("path"))
 
 
-def _halved(parts: DataFrame) -> DataFrame:
-    """side 0 or 1 by id within each part. Ranks are over parts, not one list, so tasks are parts (or hash slices of the first)."""
-    w = Window.partitionBy("path").orderBy("id")
-    size = F.count("*").over(Window.partitionBy("path"))
-    return parts.withColumn("side", F.when(2 * (F.row_number().over(w) - 1) < size, 0).otherwise(1)).select("id", "path", "side")
+TASK = 1 << 20  # vertices of a part that one task may rank
+PARTS = 100_000  # parts whose bounds may be broadcast; beyond them no part is large
+
+
+def _ranked(df: DataFrame, keys: list[str], order: list, out: str, most: int) -> DataFrame:
+    """Adds the rank (from 1) within ``keys``. Parts beyond ``TASK`` are ranked as ranges of all rows, less what comes before the part."""
+    if most <= TASK:
+        return df.withColumn(out, F.row_number().over(Window.partitionBy(*keys).orderBy(*order)))
+    all_ = global_rank(df, [*(F.col(k) for k in keys), *order], "_all")
+    return _by_part(all_, keys, F.min("_all").alias("_from")).withColumn(out, F.col("_all") - F.col("_from") + 1).drop("_all", "_from")
+
+
+def _by_part(df: DataFrame, keys: list[str], *aggs) -> DataFrame:
+    """Adds aggregates over ``keys``, which are combined before they move."""
+    per = df.groupBy(*keys).agg(*aggs)
+    return df.join(F.broadcast(per) if per.limit(PARTS + 1).count() <= PARTS else per, keys)
+
+
+def _halved(parts: DataFrame, most: int = 0) -> DataFrame:
+    """side 0 or 1 by id within each part."""
+    ranked = _by_part(_ranked(parts.select("id", "path"), ["path"], [F.col("id")], "_r", most), ["path"], F.count("*").alias("_c"))
+    return ranked.withColumn("side", F.when(2 * (F.col("_r") - 1) < F.col("_c"), 0).otherwise(1)).select("id", "path", "side")
 
 
 def gains(cells: DataFrame, sides: DataFrame) -> DataFrame:
@@ -42,14 +59,12 @@ def gains(cells: DataFrame, sides: DataFrame) -> DataFrame:
 
 def bisect_level(cells: DataFrame, parts: DataFrame, rounds: int = 4, seed: int = 1, imbalance: float = 0.0) -> DataFrame:
     """(id, path) one bit longer. Parts of one vertex stay as they are."""
-    single = F.count("*").over(Window.partitionBy("path")) == 1
-    marked = parts.withColumn("one", single)
-    done, open_ = marked.where("one").select("id", "path"), marked.where("NOT one").select("id", "path")
-    sides = written(_halved(open_), "sides")
+    marked = written(_by_part(parts, ["path"], F.count("*").alias("c")), "marked")
+    done, open_ = marked.where("c = 1").select("id", "path"), marked.where("c > 1").select("id", "path")
+    most = marked.agg(F.max("c")).first()[0] or 0
+    sides = written(_halved(open_, most), "sides")
     for r in range(rounds):
-        g = gains(cells, sides)
-        rank = F.row_number().over(Window.partitionBy("path", "side").orderBy(F.desc("gain"), "id"))
-        g = written(g.withColumn("r", rank), "gains")
+        g = written(_ranked(gains(cells, sides), ["path", "side"], [F.desc("gain"), F.col("id")], "r", most), "gains")
         pair = g.where("side = 0").select("path", "r", F.col("id").alias("x"), F.col("gain").alias("gx")).join(g.where("side = 1").select("path", "r", F.col("id").alias("y"), F.col("gain").alias("gy")), ["path", "r"])
         coin = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(str(seed)), F.lit(str(r)), "path", "r")), 1, 8), 16, 10).cast("long") % 2 == 0
         moved = pair.where(F.col("gx") + F.col("gy") > 0).where(coin).select(F.explode(F.array("x", "y")).alias("id"))
@@ -60,16 +75,22 @@ def bisect_level(cells: DataFrame, parts: DataFrame, rounds: int = 4, seed: int
             moved = moved.union(extra).distinct() if r == rounds - 1 else moved
         moved = written(moved, "moved")
         if moved.isEmpty():
+            drop(g), drop(moved)
             break
         new = g.join(moved.withColumn("m", F.lit(1)), "id", "left").select("id", "path", F.when(F.col("m") == 1, 1 - F.col("side")).otherwise(F.col("side")).alias("side"))
         new = written(new, "sides")
+        drop(g), drop(moved)
         if cut_size(cells, new) > cut_size(cells, sides):
+            drop(new)
             break  # keep the best
+        drop(sides)
         sides = new
     # the side of the smaller least id gets bit 0
     first = sides.groupBy("path").agg(F.min(F.struct("id", "side")).alias("f")).select(F.col("path").alias("p"), F.col("f.side").alias("zero"))
     new = sides.join(first, F.col("path") == F.col("p")).select("id", F.concat("path", F.when(F.col("side") == F.col("zero"), "0").otherwise("1")).alias("path"))
-    return written(new.union(done), "parts")
+    out = written(new.union(done), "parts")
+    drop(sides), drop(marked)
+    return out
 
 
 def cut_size(cells: DataFrame, sides: DataFrame) -> int:
@@ -123,8 +144,8 @@ def cmb_permuter(g: Graph, levels: int, inner: str = "odb", rounds: int = 4) ->
             for k, x in enumerate(sorted(range(len(ids)), key=lambda x: (-d[x], x))):
                 label[x] = k + 1
         elif len(ids) <= 8:
-            label = odb_solve(len(ids), edges)[1]
-        else:
+            label = (pod_solve if inner == "pod" else odb_solve)(len(ids), edges)[1]
+        else:  # both have the same cost: inner gaps telescope
             label = local_search(len(ids), edges)
         return pa.table({"id": ids, "path": [v["path"][0].as_py()] * len(ids), "local": pa.array(label, pa.int64())})
 

@@ -11,6 +11,16 @@ import numpy as np
 from ..bits.pack import gaps, pack, ungaps, unpack, unvarint, unzigzag, varint, zigzag
 
 
+class Transformer:
+    """What all share. ``fitted``: the transformer with what it takes from the whole graph; ``side_bits``: of a row's width and first label, as stored."""
+
+    def fitted(self, g):
+        return self
+
+    def side_bits(self, n: int) -> tuple[int, int]:
+        return 0, 0
+
+
 def _begin(d: np.ndarray) -> np.ndarray:
     return np.concatenate([[0], np.cumsum(d)])
 
@@ -23,13 +33,30 @@ def _bits(x: np.ndarray) -> np.ndarray:
     return out
 
 
-class FixedWidth:
-    """Labels less one in fields of one width: the graph's (``local=False``) or each list's; or, with ``gap``, gaps after the first."""
+class FixedWidth(Transformer):
+    """Labels less one in fields of one width: the graph's (``local=False``) or each list's; or, with ``gap``, gaps after the first.
 
-    def __init__(self, local: bool = True, gap: bool = False):
-        self.local, self.gap = local, gap
+    ``top`` is the width of the graph's widest gap, which ``fitted`` finds; without it a batch's widest serves.
+    """
+
+    def __init__(self, local: bool = True, gap: bool = False, top: int | None = None):
+        self.local, self.gap, self.top = local, gap, top
         self.name = ("local" if local else "global") + ("_gap" if gap else "")
 
+    def fitted(self, g):
+        if self.local or not self.gap:
+            return self
+        from pyspark.sql import functions as F
+
+        lists = g.adjacency().select("nbrs")  # chunks: a gap between two chunks is a first label
+        gap = F.transform(F.sequence(F.lit(1), F.size("nbrs") - 1), lambda i: F.get("nbrs", i) - F.get("nbrs", i - 1))
+        widest = lists.where(F.size("nbrs") > 1).agg(F.max(F.array_max(gap)).alias("g")).first()["g"] or 0
+        return FixedWidth(False, True, int(widest).bit_length())
+
+    def side_bits(self, n: int) -> tuple[int, int]:
+        label = max(n - 1, 0).bit_length()
+        return (label.bit_length() if self.local else 0), (label if self.gap else 0)
+
     def encode(self, x, begin, origin, n):
         d = np.diff(begin)
         full = d > 0
@@ -47,7 +74,7 @@ class FixedWidth:
             top[some] = np.maximum.reduceat(values, cut[:-1][some])
         width = _bits(top) if self.local or self.gap else np.full(len(d), max(n - 1, 0).bit_length())
         if self.gap and not self.local:
-            width = np.full(len(d), width.max(initial=0))  # one width a batch; a graph-wide one is a parameter of the size model
+            width = np.full(len(d), width.max(initial=0) if self.top is None else self.top)
         return pack(values, width, cut), width, first
 
     def decode(self, payloads, width, first, d, origin, n):
@@ -64,7 +91,7 @@ class FixedWidth:
         return total - np.repeat(base, d[d > 0]) + np.repeat(first[d > 0], d[d > 0])
 
 
-class FullVarint:
+class FullVarint(Transformer):
     name = "full_varint"
 
     def encode(self, x, begin, origin, n):
@@ -74,7 +101,7 @@ class FullVarint:
         return unvarint(payloads)[0]
 
 
-class GapVarint:
+class GapVarint(Transformer):
     """Zig-zagged difference of the first neighbour to the vertex, then gaps, as variable-length integers."""
 
     name = "gap_varint"
@@ -86,7 +113,7 @@ class GapVarint:
         return ungaps(unvarint(payloads)[0], _begin(d), origin)
 
 
-class PrefixGroups:
+class PrefixGroups(Transformer):
     """Neighbours grouped by their leading bits: prefix, count, then the stripped suffixes.
 
     Labels less one have ``bits`` bits, of which ``levels`` lead (those of the cluster). Groups are written
@@ -122,15 +149,16 @@ class PrefixGroups:
         return np.concatenate(out) if out else np.zeros(0, np.int64)
 
 
-class RefInterval:
-    """Reference and interval coding of lists: copies from an earlier list of the batch, runs of consecutive labels, gaps.
+class RefInterval(Transformer):
+    """Reference and interval coding of lists: copies from an earlier list of the block, runs of consecutive labels, gaps.
 
     Parameters have the published defaults: a window of 7 earlier lists, chains of at most 3, runs of 4 or more. All
     numbers are variable-length integers here (the published zeta code is finer for residuals; see ``zeta_bits``).
-    A list only refers to lists of the same batch, so batches decode alone.
+    A list only refers to lists encoded in the same call, which are stored, and decoded, together as a block.
     """
 
     name = "ref_interval"
+    blocked = True
 
     def __init__(self, window: int = 7, max_chain: int = 3, min_interval: int = 4):
         self.window, self.max_chain, self.min_interval = window, max_chain, min_interval
@@ -171,7 +199,7 @@ class RefInterval:
                     best, raw, ref = k - r, try_, r
             chain[k] = chain[best] + 1 if best is not None else 0
             out.append(raw)
-        return out, np.zeros(len(out), np.int64), np.arange(len(out)) == 0
+        return out, np.zeros(len(out), np.int64), np.zeros(len(out), np.int64)
 
     def decode(self, payloads, width, first, d, origin, n):
         lists = []

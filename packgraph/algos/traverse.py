@@ -22,9 +22,10 @@ def bfs(cells: DataFrame, source: int, mode: str = "auto", alpha: int = 14, beta
     size = written(cells.groupBy("v").agg(F.count("*").alias("d")), "degrees")
     total = size.agg(F.sum("d"), F.count("*")).first()
     left, n = total[0] or 0, total[1]
-    seen = spark.createDataFrame([(source, 0)], "id long, dist long")
-    frontier, level, pull = seen.select("id"), 0, mode == "pull"
+    levels = [written(spark.createDataFrame([(source, 0)], "id long, dist long"), "level")]  # what is seen is their union
+    level, pull = 0, mode == "pull"
     while True:
+        frontier, seen = levels[-1].where(F.col("dist") == level).select("id"), union_all(levels)
         if mode == "auto":
             f = frontier.join(size, F.col("id") == F.col("v")).agg(F.coalesce(F.sum("d"), F.lit(0)), F.count("*")).first()
             left -= f[0]
@@ -36,42 +37,76 @@ def bfs(cells: DataFrame, source: int, mode: str = "auto", alpha: int = 14, beta
         else:
             found = cells.join(frontier, F.col("v") == F.col("id"), "left_semi").select("u").distinct().join(ends, F.col("u") == F.col("e"), "left_anti").select(F.col("u").alias("id"))
         level += 1
-        new = written(found, "frontier")
+        new = written(found.withColumn("dist", F.lit(level).cast("long")), "level")
         if new.isEmpty():
+            drop(new), drop(size)
             return seen
-        seen = written(seen.union(new.withColumn("dist", F.lit(level).cast("long"))), "seen")
-        frontier = new
+        levels.append(new)
+        if len(levels) > MERGE:
+            merged = written(union_all(levels), "level")
+            for x in levels:
+                drop(x)
+            levels = [merged]
+
+
+MERGE = 16
+
+
+def union_all(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for f in frames[1:]:
+        out = out.unionByName(f)
+    return out
 
 
 def sssp(cells: DataFrame, source: int, delta: int | None = None) -> DataFrame:
-    """(id, dist) by delta-stepping: light edges (w <= delta) are relaxed within a bucket until it is stable, heavy ones once."""
+    """(id, dist) by delta-stepping: light edges (w <= delta) are relaxed within a bucket until it is stable, heavy ones once.
+
+    What a round improves stays apart and joins the distances once a bucket.
+    """
     spark = cells.sparkSession
     if delta is None:
         delta = max(1, int(cells.agg(F.avg("w")).first()[0] or 1))
     light, heavy = cells.where(F.col("w") <= delta), cells.where(F.col("w") > delta)
-    dist = written(spark.createDataFrame([(source, 0)], "id long, dist long"), "dist")
+    parts = [written(spark.createDataFrame([(source, 0)], "id long, dist long"), "dist")]
     bucket = 0
 
-    def relax(some: DataFrame, edges: DataFrame) -> tuple[DataFrame, DataFrame]:
-        """(all distances, improved ones)."""
+    def known() -> DataFrame:
+        return parts[0] if len(parts) == 1 else union_all(parts).groupBy("id").agg(F.min("dist").alias("dist"))
+
+    def merge() -> None:
+        if len(parts) > 1:
+            whole = written(known(), "dist")
+            for x in parts:
+                drop(x)
+            parts[:] = [whole]
+
+    def relax(some: DataFrame, edges: DataFrame) -> DataFrame:
+        """Improved distances."""
         tried = some.join(edges, F.col("id") == F.col("v")).groupBy("u").agg(F.min(F.col("dist") + F.col("w")).alias("t"))
-        better = written(tried.join(dist, F.col("u") == F.col("id"), "left").where("dist IS NULL OR t < dist").select(F.col("u").alias("id"), F.col("t").alias("dist")), "better")
-        if better.isEmpty():
-            return dist, better
-        return written(dist.union(better).groupBy("id").agg(F.min("dist").alias("dist")), "dist"), better
+        better = tried.join(known(), F.col("u") == F.col("id"), "left").where("dist IS NULL OR t < dist").select(F.col("u").alias("id"), F.col("t").alias("dist"))
+        return written(better, "better")
 
     while True:
         inside = (F.col("dist") >= bucket * delta) & (F.col("dist") < (bucket + 1) * delta)
-        some = dist.where(inside)
+        some = known().where(inside)
         while True:
-            dist, better = relax(some, light)
+            better = relax(some, light)
             some = better.where(inside)
+            if better.isEmpty():
+                drop(better)
+                break
+            parts.append(better)
+            if len(parts) > MERGE:
+                merge()
+                some = known().join(better.select("id"), "id", "left_semi").where(inside)
             if some.isEmpty():
                 break
-        dist, _ = relax(dist.where(inside), heavy)
-        nxt = dist.where(F.col("dist") >= (bucket + 1) * delta).agg(F.min("dist")).first()[0]
+        parts.append(relax(known().where(inside), heavy))
+        merge()
+        nxt = parts[0].where(F.col("dist") >= (bucket + 1) * delta).agg(F.min("dist")).first()[0]
         if nxt is None:
-            return dist
+            return parts[0]
         bucket = nxt // delta
 
 
@@ -98,9 +133,12 @@ def pagerank(cells: DataFrame, n: int, vertices: DataFrame, rounds: int = 5, sca
     base = 15 * scale // 100 // n if n else 0
     rank = vertices.select("id", F.lit(scale // n if n else 0).cast("long").alias("rank"))
     for _ in range(rounds):
+        was = rank
         share = rank.join(degree, F.col("id") == F.col("v")).select(F.col("id").alias("f"), F.expr("rank div d").alias("c"))
         got = cells.join(share, F.col("u") == F.col("f")).groupBy("v").agg(F.sum("c").alias("s"))
         rank = written(vertices.join(got, F.col("id") == F.col("v"), "left").select("id", F.expr(f"cast({base} + (85 * coalesce(s, 0)) div 100 as bigint)").alias("rank")), "rank")
+        drop(was)
+    drop(degree)
     return rank
 
 
@@ -116,7 +154,9 @@ def betweenness(cells: DataFrame, sources: list[int]) -> DataFrame:
             if nxt.isEmpty():
                 break
             levels.append(nxt)
-            seen = written(seen.union(nxt.select("id")), "seen")
+            was, seen = seen, written(seen.union(nxt.select("id")), "seen")
+            drop(was)
+        drop(seen)
         delta = levels[-1].select("id", "sigma", F.lit(0.0).alias("delta"))
         for k in range(len(levels) - 2, -1, -1):
             below = delta.select(F.col("id").alias("c"), ((1 + F.col("delta")) / F.col("sigma")).alias("share"))
@@ -131,16 +171,16 @@ def betweenness(cells: DataFrame, sources: list[int]) -> DataFrame:
 
 
 def oriented(cells: DataFrame) -> DataFrame:
-    """(a, b): each edge from its end of lower (degree, id); no list is then longer than sqrt(2 m)."""
+    """(a, b, rank): each edge from its end of lower (degree, id), and the other end's; no list is then longer than sqrt(2 m)."""
     d = cells.groupBy("v").agg(F.count("*").alias("d"))
     both = cells.select("v", "u").join(d.select(F.col("v").alias("x"), F.col("d").alias("dv")), F.col("v") == F.col("x")).join(d.select(F.col("v").alias("y"), F.col("d").alias("du")), F.col("u") == F.col("y"))
-    return both.where("dv < du OR dv = du AND v < u").select(F.col("v").alias("a"), F.col("u").alias("b"))
+    return both.where("dv < du OR dv = du AND v < u").select(F.col("v").alias("a"), F.col("u").alias("b"), F.struct("du", "u").alias("rank"))
 
 
 def triangles(cells: DataFrame) -> DataFrame:
-    """(a, b, c) of each triangle once."""
+    """(a, b, c) of each triangle once, in the order of (degree, id): a wedge is made once, towards its higher end."""
     o = written(oriented(cells), "oriented")
-    wedge = o.join(o.select(F.col("a").alias("a2"), F.col("b").alias("c")), F.col("a") == F.col("a2")).where("b != c").select("a", "b", "c")
+    wedge = o.join(o.select(F.col("a").alias("a2"), F.col("b").alias("c"), F.col("rank").alias("higher")), F.col("a") == F.col("a2")).where("rank < higher").select("a", "b", "c")
     return wedge.join(o.select(F.col("a").alias("p"), F.col("b").alias("q")), (F.col("b") == F.col("p")) & (F.col("c") == F.col("q")), "left_semi")
 
 

@@ -45,6 +45,27 @@ def prefix_sums(df: DataFrame, order: list, value: str, out: str = "off") -> Dat
     return ordered.join(bases, "_part").withColumn(out, F.col("_base") + F.coalesce(before, F.lit(0))).drop("_part", "_row", "_base")
 
 
+def place_in_group(df: DataFrame, group: str, order: str, out: str = "place") -> DataFrame:
+    """Adds each row's place (from 0) within its group, by ``order``, with no group in one task.
+
+    Rows are range-partitioned by both columns; a partition numbers its own, and only its first and last group can go on in others, so
+    that a count of two groups a partition tells where they start.
+    """
+    ordered = _ordered(df, [F.col(group), F.col(order)])
+    own = F.row_number().over(Window.partitionBy("_part", group).orderBy("_row")) - 1
+    count = ordered.groupBy("_part", group).agg(F.count("*").alias("_n"))
+    ends = ordered.groupBy("_part").agg(F.min(group).alias("_lo"), F.max(group).alias("_hi"))
+    cut = count.join(F.broadcast(ends), "_part").where(f"`{group}` = _lo OR `{group}` = _hi").select(group, "_part", "_n").collect()  # two rows a partition
+    base, before = [], {}
+    for g, part, n in sorted(map(tuple, cut)):
+        if before.get(g):
+            base.append((part, g, before[g]))
+        before[g] = before.get(g, 0) + n
+    kind = dict(df.dtypes)[group]
+    bases = F.broadcast(df.sparkSession.createDataFrame(base, f"_part long, `{group}` {kind}, _base long"))
+    return ordered.withColumn("_own", own).join(bases, ["_part", group], "left").withColumn(out, F.col("_own") + F.coalesce("_base", F.lit(0))).drop("_part", "_row", "_own", "_base")
+
+
 def assign_ids(df: DataFrame, key: str, method: str = "two_pass", out: str = "id") -> DataFrame:
     """Contiguous ids from 1 in the order of ``key``: shift (integers from 0) or two_pass (any distinct keys)."""
     if method == "shift":

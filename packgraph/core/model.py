@@ -4,10 +4,13 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .ids import place_in_group
+
 CHUNK = 65_536
+HUB = 1 << 20
 
 
 @dataclass
@@ -48,11 +51,26 @@ class Graph:
         e = self.edges.join(a, "src").join(b, "dst")
         return Graph(self.name, self.n, e.select(F.least("_s", "_d").alias("src"), F.greatest("_s", "_d").alias("dst"), "w"))
 
+    def with_hubs(self) -> bool:
+        """Whether some list is too long to be sorted in one task."""
+        return (self.cells().groupBy("v").count().agg(F.max("count")).first()[0] or 0) > HUB
+
+    def consecutive(self) -> DataFrame:
+        """(v, u, w, before): cells and the neighbour before u in v's list, null for the first."""
+        if not self.with_hubs():
+            return self.cells().withColumn("before", F.lag("u").over(Window.partitionBy("v").orderBy("u")))
+        p = place_in_group(self.cells(), "v", "u")
+        return p.join(p.select("v", (F.col("place") + 1).alias("place"), F.col("u").alias("before")), ["v", "place"], "left").select("v", "u", "w", "before")
+
+    def places(self) -> DataFrame:
+        """(v, u, w, place): cells and the place (from 0) of u among v's neighbours. Lists beyond ``HUB`` entries are numbered in ranges of
+        rows, so that no hub is sorted in one task; the result is the same."""
+        if self.with_hubs():
+            return place_in_group(self.cells(), "v", "u")
+        return self.cells().withColumn("place", F.row_number().over(Window.partitionBy("v").orderBy("u")) - 1)
+
     def adjacency(self, chunk: int = CHUNK) -> DataFrame:
         """(v, chunk, d, nbrs, ws): sorted neighbours; a hub's list is cut every ``chunk`` entries, so no row is unbounded."""
-        from pyspark.sql import Window
-
-        k = F.row_number().over(Window.partitionBy("v").orderBy("u")) - 1
-        cut = self.cells().withColumn("chunk", F.floor(k / chunk).cast("int"))
+        cut = self.places().withColumn("chunk", F.floor(F.col("place") / chunk).cast("int"))
         lists = cut.groupBy("v", "chunk").agg(F.array_sort(F.collect_list(F.struct("u", "w"))).alias("l"))
         return lists.select("v", "chunk", F.size("l").cast("long").alias("d"), F.col("l.u").alias("nbrs"), F.col("l.w").alias("ws"))

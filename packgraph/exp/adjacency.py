@@ -13,6 +13,7 @@ from ..bits.width import varint_bits
 from ..core.compressed import TRANSFORMERS, CompressedGraph
 from ..core.ids import assign_ids
 from ..core.store import written
+from ..core.weighted import WeightedGraph
 from ..fine.sizes import ALL, CODECS, DEGREE_SQL, _sql, _union, sizes
 from ..graphs import derive
 
@@ -87,10 +88,8 @@ def bfs_push_pull(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def exp_sssp_local(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Shortest paths on list-wise identifiers; weights are kept apart and joined by their cell."""
-    g = derive.load(spark, sf_dir, "g_part_supp")
-    cells = CompressedGraph.build(g, TRANSFORMERS["local"]).cells().join(g.cells(), ["v", "u"])
-    return sssp(written(cells, "cells"), 1)
+    """Shortest paths on list-wise identifiers with their weights packed beside them."""
+    return sssp(written(WeightedGraph.build(derive.load(spark, sf_dir, "g_part_supp")).cells(), "cells"), 1)
 
 
 def udaf_bitvector(spark: SparkSession, sf_dir: str) -> DataFrame:

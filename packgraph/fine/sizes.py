@@ -34,8 +34,7 @@ CODECS = {
 
 def per_vertex(g: Graph) -> DataFrame:
     """v, d, mx (largest neighbour), mg (largest interior gap), vb and gb (varint bits), wv (largest weight)."""
-    by_v = Window.partitionBy("v").orderBy("u")
-    c = g.cells().withColumn("gap", F.col("u") - F.lag("u").over(by_v))
+    c = g.consecutive().withColumn("gap", F.col("u") - F.col("before"))
     coded = F.when(F.col("gap").isNull(), F.expr(zigzag("u - v"))).otherwise(F.col("gap"))
     c = c.withColumn("vb", F.expr(varint_bits("u"))).withColumn("z", coded).withColumn("gb", F.expr(varint_bits("z")))
     return c.groupBy("v").agg(F.count("*").alias("d"), F.max("u").alias("mx"), F.coalesce(F.max("gap"), F.lit(0)).alias("mg"), F.sum("vb").alias("vb"), F.sum("gb").alias("gb"), F.max("w").alias("wv"))

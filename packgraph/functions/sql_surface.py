@@ -85,7 +85,8 @@ def register_all(spark: SparkSession) -> None:
 
 def _pack(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Packed and unpacked again."""
-    a = derive.load(spark, sf_dir, "g_page_link").adjacency().select("v", F.transform("nbrs", lambda x: x - 1).alias("x"), F.lit(12).alias("w"), F.col("d").alias("n"))
+    g = derive.load(spark, sf_dir, "g_page_link")
+    a = g.adjacency().select("v", F.transform("nbrs", lambda x: x - 1).alias("x"), F.lit(max(g.n - 1, 0).bit_length()).alias("w"), F.col("d").alias("n"))
     p = a.select("v", "n", "w", pack_bits("x", "w").alias("p"))
     return p.select("v", F.explode(unpack_bits("p", "w", "n")).alias("x")).select("v", (F.col("x") + 1).alias("u"))
 
@@ -119,11 +120,6 @@ def _select(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _vectors(spark, sf_dir).select("v", bv_select("b", F.lit(2)).alias("second")).where("second IS NOT NULL")
 
 
-def _first(query, most: int = 60):
-    """Its rows of the first vertices, which are what the SQL of that name lists."""
-    return lambda spark, sf_dir: query(spark, sf_dir).where(F.col("v") <= most)
-
-
 def _table(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Lists decoded by the table function, in SQL."""
     register_all(spark)
@@ -132,9 +128,9 @@ def _table(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _CELLS = derive.with_graph("g_page_link") + "SELECT v, u FROM cells"
-QUERIES = {"udf_pack": _pack, "udf_varint": _varint, "bv_rank": _first(_rank), "bv_select": _first(_select), "bv_rank_all": _rank, "bv_select_all": _select, "udtf_neighbors": _table}
+QUERIES = {"udf_pack": _pack, "udf_varint": _varint, "bv_rank": _rank, "bv_select": _select, "udtf_neighbors": _table}
 ORACLES = {
     "udf_pack": _CELLS, "udf_varint": _CELLS, "udtf_neighbors": _CELLS,
-    "bv_rank": derive.with_graph("g_page_link") + "SELECT v, count(CASE WHEN u <= 400 THEN 1 END) AS r FROM cells WHERE v <= 60 GROUP BY v",
-    "bv_select": derive.with_graph("g_page_link") + "SELECT v, u AS second FROM (SELECT v, u, row_number() OVER (PARTITION BY v ORDER BY u) AS k FROM cells WHERE v <= 60) q WHERE k = 2",
+    "bv_rank": derive.with_graph("g_page_link") + "SELECT v, count(CASE WHEN u <= 400 THEN 1 END) AS r FROM cells GROUP BY v",
+    "bv_select": derive.with_graph("g_page_link") + "SELECT v, u AS second FROM (SELECT v, u, row_number() OVER (PARTITION BY v ORDER BY u) AS k FROM cells) q WHERE k = 2",
 }

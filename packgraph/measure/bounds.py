@@ -141,7 +141,7 @@ def _offsets_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "theory_er": _er, "theory_powerlaw": _powerlaw, "theory_curve": _curve, "bounds_fine": _bounds, "bound_graph": _bound_graph, "size_dist_nodes": _dist((1, 4), "nodes"), "size_dist_hier": _dist((1, 5, 25), "hier"),
-    "split_ids": _split, "size_dist_local": _dist_local, "access_model": _access, "geomean_ratio": _geomean, "weight_scaled": _offsets_weights,
+    "split_ids": _split, "size_dist_local": _dist_local, "access_model": _access, "geomean_gap_ratio": _geomean, "weight_scaled": _offsets_weights,
 }
 _N = "(SELECT unnest(range(8, {})) AS lg_n)"
 _ER = f"SELECT lg_n, n, cells, cells * ({ceil_lg('n')} + 8) AS a_bits, n * {ceil_lg('cells')} AS o_bits, cells * 40 AS plain_bits FROM (SELECT lg_n, n, n * (n - 1) // 100 AS cells FROM (SELECT lg_n, CAST(pow(2, lg_n) AS BIGINT) AS n FROM {_N.format(21)} a) b) c"
@@ -152,7 +152,10 @@ def _each(sql: str, more: str = "") -> str:
     return " UNION ALL ".join(f"SELECT * FROM ({derive.with_graph(k, more)}{sql.format(g=k)})" for k in SMALL)
 
 
+_GAP = "CASE WHEN z = 0 THEN 8 ELSE 8 * ((length(bin(z)) + 6) // 7) END"
 ORACLES = {
+    "geomean_gap_ratio": derive.with_graph("g_part_supp", "gp AS (SELECT v, u, u - lag(u) OVER (PARTITION BY v ORDER BY u) AS gap FROM cells), zg AS (SELECT v, CASE WHEN gap IS NOT NULL THEN gap WHEN u >= v THEN 2 * (u - v) ELSE 2 * (v - u) - 1 END AS z FROM gp)")
+    + f"SELECT round(exp(avg(ln(gb / (32 * d)))), 6) AS geomean FROM (SELECT v, count(*) AS d, sum({_GAP}) AS gb FROM zg GROUP BY v) q",
     "theory_er": _ER,
     "theory_powerlaw": f"SELECT lg_n, n, beta, edges, 2 * edges * ({ceil_lg('n')} + 8) AS a_bits, n * {ceil_lg('2 * edges')} AS o_bits FROM (SELECT lg_n, n, beta, CAST(floor(n * 0.5 / (2 * (2 - beta)) * (pow(top, 2 - beta) - 1)) AS BIGINT) AS edges FROM (SELECT lg_n, n, beta, pow(CAST(0.5 AS DOUBLE) * n * ln(n) / (beta - 1), 1 / (beta - 1)) AS top FROM (SELECT lg_n, CAST(pow(2, lg_n) AS BIGINT) AS n FROM {_N.format(17)} a) b, (SELECT unnest([CAST(2.2 AS DOUBLE), 2.5, 3.0]) AS beta) t) u) v",
     "theory_curve": f"SELECT n, 100 * (a_bits + o_bits) // (plain_bits + 32 * (n + 1)) AS percent_of_plain FROM ({_ER}) z",

@@ -16,6 +16,9 @@ from ..core.store import written
 from ..graphs import derive
 
 
+ELEMENTS = (4, 25, 1024)
+
+
 def comm_volume(g: Graph, dist: DataFrame, elements: int, ptr_bits: int = 64) -> DataFrame:
     """dist, messages, plain_bits, split_bits by level of a search: ends in other elements, one message for each pair of sending element and end.
 
@@ -32,7 +35,7 @@ def _comm(spark: SparkSession, sf_dir: str) -> DataFrame:
     g = derive.load(spark, sf_dir, "g_cust_part")
     cells = written(g.cells(), "cells")
     dist, out = written(bfs(cells, 1), "dist"), None
-    for h in (4, 25):
+    for h in ELEMENTS:
         row = comm_volume(g, dist, h).withColumn("elements", F.lit(h).cast("long"))
         out = row if out is None else out.union(row)
     return out
@@ -92,7 +95,7 @@ QUERIES = {"bfs_comm_volume": _comm, "timing_summary": _timing, "exp_library": b
 _H = " UNION ALL ".join(
     f"SELECT dist, CAST(sum(k) AS BIGINT) AS messages, CAST(sum(k * 64) AS BIGINT) AS plain_bits, CAST(sum(k * length(bin(s - 1)) + {ceil_lg(h) + 32}) AS BIGINT) AS split_bits, CAST({h} AS BIGINT) AS elements "
     f"FROM (SELECT dist, (v - 1) // s AS e, (u - 1) // s AS f, count(DISTINCT u) AS k, any_value(s) AS s FROM cells JOIN r ON r.id = v, (SELECT (n + {h - 1}) // {h} AS s FROM nv) z WHERE (v - 1) // s <> (u - 1) // s GROUP BY 1, 2, 3) q GROUP BY dist"
-    for h in (4, 25)
+    for h in ELEMENTS
 )
 ORACLES = {
     "bfs_comm_volume": bfs_sql("g_cust_part").rsplit("SELECT id, dist FROM r", 1)[0] + _H,

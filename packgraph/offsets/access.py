@@ -26,37 +26,36 @@ def layout(g: Graph, word_bits: int = 64, block_bits: int = 64) -> DataFrame:
     return prefix_sums(g.degrees().select(F.col("id").alias("v"), blocks.alias("blocks")), [F.col("v")], "blocks")
 
 
-def build(offsets: DataFrame, kind: str, size: int = RANGE) -> DataFrame:
-    """range_id, kind, n, base, payload_bits, index_bits, ones: a structure for each range of ``size`` vertices.
+BUILT = "range_id long, n long, base long, payload_bits long, index_bits long, stored_bits long, payload binary"
+
 
-    What is stored is the kind's payload; it is rebuilt from its bytes or, for kinds
-    whose working form is not their bytes, from the positions kept beside it.
-    """
+def build(offsets: DataFrame, kind: str, size: int = RANGE) -> DataFrame:
+    """A structure for each range of ``size`` vertices: all its bytes (``payload``), what its codes and directories count as, and its first offset."""
 
     def one(t: pa.Table) -> pa.Table:
         t = t.sort_by("v")
         off, blocks = t["off"].to_numpy(), t["blocks"].to_numpy()
         s = KINDS[kind](off - off[0], int(off[-1] - off[0] + blocks[-1]))
-        return pa.table({"range_id": t["range_id"].slice(0, 1), "n": [len(off)], "base": [int(off[0])], "payload_bits": [int(s.payload_bits)], "index_bits": [int(s.index_bits)], "payload": pa.array([s.payload], pa.binary())})
+        counts = [[len(off)], [int(off[0])], [int(s.payload_bits)], [int(s.index_bits)], [8 * len(s.raw)]]
+        return pa.table([t["range_id"].slice(0, 1), *(pa.array(x, pa.int64()) for x in counts), pa.array([s.raw], pa.binary())], names=[x.split()[0] for x in BUILT.split(", ")])
 
     ranged = offsets.select(F.floor((F.col("v") - 1) / size).cast("long").alias("range_id"), "v", "off", "blocks")
-    return ranged.groupBy("range_id").applyInArrow(one, "range_id long, n long, base long, payload_bits long, index_bits long, payload binary")
+    return ranged.groupBy("range_id").applyInArrow(one, BUILT)
 
 
-def select(offsets: DataFrame, kind: str, asked: DataFrame, size: int = RANGE) -> DataFrame:
-    """(v, off) of the asked vertices through the kind's select; only ranges that are asked are built."""
+def select(built: DataFrame, kind: str, asked: DataFrame, size: int = RANGE) -> DataFrame:
+    """(v, off) of the asked vertices, by select on the bytes of a table of ``build``; only ranges that are asked are opened."""
 
     def one(t: pa.Table, q: pa.Table) -> pa.Table:
         if not t.num_rows or not q.num_rows:
             return pa.table({"v": pa.array([], pa.int64()), "off": pa.array([], pa.int64())})
-        t = t.sort_by("v")
-        off, blocks, v0 = t["off"].to_numpy(), t["blocks"].to_numpy(), t["v"][0].as_py()
-        s = KINDS[kind](off - off[0], int(off[-1] - off[0] + blocks[-1]))
+        s = KINDS[kind].load(t["payload"][0].as_py())
         v = q["v"].to_numpy()
-        return pa.table({"v": v, "off": s.select(v - v0).astype(np.int64) + off[0]})
+        return pa.table({"v": v, "off": s.select(v - 1 - size * t["range_id"][0].as_py()).astype(np.int64) + t["base"][0].as_py()})
 
     key = F.floor((F.col("v") - 1) / size).cast("long").alias("range_id")
-    return offsets.select(key, "v", "off", "blocks").groupBy("range_id").cogroup(asked.select(key, "v").groupBy("range_id")).applyInArrow(one, "v long, off long")
+    stored = built.select("range_id", "base", "payload")
+    return stored.groupBy("range_id").cogroup(asked.select(key, "v").groupBy("range_id")).applyInArrow(one, "v long, off long")
 
 
 def lg_binomial(n: float, k: float) -> float:
@@ -81,7 +80,7 @@ def _bits(name: str, spark: SparkSession, sf_dir: str) -> DataFrame:
 def _select(kind: str, graph: str):
     def query(spark: SparkSession, sf_dir: str) -> DataFrame:
         g = derive.load(spark, sf_dir, graph)
-        return select(layout(g), kind, g.vertices().select(F.col("id").alias("v")), 512)
+        return select(written(build(layout(g), kind, 512), "offsets"), kind, g.vertices().select(F.col("id").alias("v")), 512)
 
     return query
 
@@ -181,7 +180,7 @@ def _fetch(spark: SparkSession, sf_dir: str) -> DataFrame:
     g = derive.load(spark, sf_dir, "g_road")
     off = written(layout(g), "layout")
     asked = written(chosen(g), "asked")
-    return _union([select(off, k, asked).withColumn("kind", F.lit(k)) for k in ("ptr64", "plain", "interleaved", "entropy", "sparse")])
+    return _union([select(written(build(off, k), "offsets"), k, asked).withColumn("kind", F.lit(k)) for k in ("ptr64", "plain", "interleaved", "entropy", "sparse")])
 
 
 _SEL = {"off_select_plain": "plain", "off_select_interleaved": "interleaved", "off_select_entropy": "entropy", "off_select_sparse": "sparse", "off_select_btree": "btree", "off_select_gap": "gap", "off_select_ptr": "ptr64", "off_select_ptrlog": "ptrlog", "off_select_zlib": "zlib_blocked"}

@@ -1,5 +1,7 @@
 """Bit kernels, transformers, offset structures and solvers, against plain Python."""
 
+import zlib
+
 import numpy as np
 import pytest
 from hypothesis import given, settings
@@ -67,7 +69,25 @@ def test_select_finds_every_one(kind, ones):
     ones = np.array(sorted(ones))
     s = OFFSETS[kind](ones, int(ones[-1]) + 5)
     assert s.select(np.arange(len(ones))).tolist() == ones.tolist()
-    assert s.payload_bits > 0
+    again = OFFSETS[kind].load(bytes(s.raw))
+    some = np.arange(len(ones))[::-3]
+    assert again.select(some).tolist() == ones[some].tolist()
+    assert (again.payload_bits, again.index_bits) == (s.payload_bits, s.index_bits)
+    # what is stored: codes, directories, a header of 256 bits (two for the nested vector), and fill to whole words and runs
+    assert 8 * len(s.raw) <= s.payload_bits + s.index_bits + 2 * 256 + 4096 + 3 * 64
+
+
+def test_gaps_beyond_32_bits():
+    ones = np.array([5, 2**33, 2**40, 2**40 + 1])
+    assert OFFSETS["gap"].load(OFFSETS["gap"](ones, 2**41).raw).select(np.arange(4)).tolist() == ones.tolist()
+
+
+def test_deflated_sizes_are_those_of_zlib():
+    ones = np.cumsum(np.random.default_rng(2).integers(1, 9, 5000))
+    raw = np.append(ones, ones[-1] + 3).astype("<u8").tobytes()
+    assert OFFSETS["zlib_blocked"](ones, int(ones[-1]) + 3).payload_bits == sum(8 * len(zlib.compress(raw[i : i + 4096], 6)) for i in range(0, len(raw), 4096))
+    whole = OFFSETS["zlib"](ones, int(ones[-1]) + 3)
+    assert zlib.decompress(whole.parts.tobytes()).endswith(raw) and whole.payload_bits < 8 * len(raw)
 
 
 @given(st.lists(st.integers(0, 400), min_size=1, max_size=120))
