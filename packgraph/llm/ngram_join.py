@@ -13,7 +13,7 @@
    traversed against each other; a pair of nodes is left as soon as the sizes or the largest possible overlap
    rule out a link, or both lie in one component. Groups are cut by size band (only neighbouring bands can link)
    and large bands into chunks, each pair of chunks a unit of its own.
-6. The sets of a task's documents come to it once each. Pairs that the bounds leave are compared exactly there, each
+6. The sets of those documents that are in a pair which the bounds leave come to the task once each. Pairs that the bounds leave are compared exactly there, each
    document's best pair first; pairs whose ends are joined by then are passed over. A task gives the links that join
    something new, a forest; components of all links give the result.
 
@@ -358,15 +358,63 @@ class Forest:
 MOST_PAIRS = 200_000
 
 
+UNIT = "task long, group long, chunk int, own int, rep long, n long, comp long, bits binary"
+
+
+def _units(t: pa.Table):
+    """The table sorted by unit, and each unit's rows (from, to)."""
+    t = t.sort_by([("group", "ascending"), ("chunk", "ascending"), ("n", "ascending"), ("rep", "ascending")])
+    g, chunk = t["group"].to_numpy(), t["chunk"].to_numpy()
+    cuts = np.flatnonzero(np.concatenate([[True], (g[1:] != g[:-1]) | (chunk[1:] != chunk[:-1]), [True]])) if t.num_rows else np.zeros(1, np.int64)
+    return t, list(zip(cuts[:-1].tolist(), cuts[1:].tolist()))
+
+
+def _search(chunk: int, own: np.ndarray, n: np.ndarray, comp: np.ndarray, bits: list[bytes], percent: int):
+    """Pairs of a unit's rows that the trees cannot rule out, some at a time: (i, j, common bits)."""
+    b = folded(bits, min(map(len, bits)))  # folding keeps the bound: a fold only adds common bits and slack
+    i, j = np.flatnonzero(own == 1), np.flatnonzero(own == 0)
+    x = SignatureTree(n[i], b[i], comp[i]) if len(i) else None
+    y = SignatureTree(n[j], b[j], comp[j]) if len(j) else None
+    searches = []
+    if x and chunk == 0:  # the host's own
+        searches.append((i, i, traverse(x, x, percent, True)))
+    if x and y:
+        searches.append((i, j, traverse(x, y, percent, False)))
+    for left, right, found in searches:
+        for p, q in found:
+            p, q = left[p], right[q]
+            yield p, q, np.bitwise_count(b[p] & b[q]).sum(axis=1).astype(np.int64)
+
+
+def surviving_rows(percent: int):
+    """A grouped function: signature trees for all units of a task; the rows that are in some pair which the bounds leave."""
+
+    def run(t: pa.Table) -> pa.Table:
+        t, units = _units(t)
+        chunk, own, rep, n, comp = (t[c].to_numpy() for c in ("chunk", "own", "rep", "n", "comp"))
+        bits = t["bits"].combine_chunks()
+        keep = np.zeros(t.num_rows, bool)
+        for lo, hi in units:
+            if comp[lo:hi].min() == comp[lo:hi].max():
+                continue
+            for p, q, _ in _search(chunk[lo], own[lo:hi], n[lo:hi], comp[lo:hi], [x.as_py() for x in bits[lo:hi]], percent):
+                ok = rep[lo + p] != rep[lo + q]
+                keep[lo + p[ok]] = True
+                keep[lo + q[ok]] = True
+        return t.select([x.split()[0] for x in UNIT.split(", ")]).filter(pa.array(keep))
+
+    return run
+
+
 def forest_links(percent: int):
-    """A cogrouped function: signature trees for all units of a task, exact comparison of what survives, and the links that join components."""
+    """A cogrouped function: the trees again for what survived, exact comparison, and the links that join components."""
 
     def run(t: pa.Table, s: pa.Table) -> pa.Table:
         none = pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64())})
         if not t.num_rows:
             return none
-        t = t.sort_by([("group", "ascending"), ("chunk", "ascending"), ("n", "ascending"), ("rep", "ascending")])
-        g, chunk, own, rep, n, comp = (t[c].to_numpy() for c in ("group", "chunk", "own", "rep", "n", "comp"))
+        t, units = _units(t)
+        chunk, own, rep, n, comp = (t[c].to_numpy() for c in ("chunk", "own", "rep", "n", "comp"))
         bits = t["bits"].combine_chunks()
         order = pa.compute.sort_indices(s["rep"])
         known = s["rep"].take(order).to_numpy()
@@ -374,7 +422,6 @@ def forest_links(percent: int):
         names = np.zeros(len(known), np.int64)
         names[doc] = comp
         forest = Forest(names, s["h"].take(order).to_pylist(), percent)
-        cuts = np.flatnonzero(np.concatenate([[True], (g[1:] != g[:-1]) | (chunk[1:] != chunk[:-1]), [True]]))
         held: list[np.ndarray] = []
 
         def settle() -> None:
@@ -383,29 +430,15 @@ def forest_links(percent: int):
                 held.clear()
                 forest.compare(x[:, 0], x[:, 1], x[:, 2])
 
-        for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist()):
+        for lo, hi in units:
             root = forest.roots()[doc[lo:hi]]
             if root.min() == root.max():
                 continue
-            some = [x.as_py() for x in bits[lo:hi]]
-            b = folded(some, min(map(len, some)))  # folding keeps the bound: a fold only adds common bits and slack
-            i, j = np.flatnonzero(own[lo:hi] == 1), np.flatnonzero(own[lo:hi] == 0)
-            x = SignatureTree(n[lo + i], b[i], root[i]) if len(i) else None
-            y = SignatureTree(n[lo + j], b[j], root[j]) if len(j) else None
-            searches = []
-            if x and chunk[lo] == 0:  # the host's own
-                searches.append((i, i, traverse(x, x, percent, True)))
-            if x and y:
-                searches.append((i, j, traverse(x, y, percent, False)))
-            for left, right, found in searches:
-                for p, q in found:
-                    p, q = left[p], right[q]
-                    u, v = doc[lo + p], doc[lo + q]
-                    ok = forest.apart(u, v)
-                    most = np.bitwise_count(b[p] & b[q]).sum(axis=1).astype(np.int64)
-                    held.append(np.stack([u, v, most], axis=1)[ok])
-                    if sum(map(len, held)) > MOST_PAIRS:
-                        settle()
+            for p, q, most in _search(chunk[lo], own[lo:hi], n[lo:hi], root, [x.as_py() for x in bits[lo:hi]], percent):
+                u, v = doc[lo + p], doc[lo + q]
+                held.append(np.stack([u, v, most], axis=1)[forest.apart(u, v)])
+                if sum(map(len, held)) > MOST_PAIRS:
+                    settle()
         settle()
         if not forest.links:
             return none
@@ -551,15 +584,15 @@ def jaccard_components(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFr
     drop(blocks)
     tasks = max(64, buckets)
 
-    def units(columns: DataFrame) -> DataFrame:
-        return search_units(columns).withColumn("task", F.pmod(F.col("key"), F.lit(tasks))).drop("key")
-
-    wanted = written(units(found.withColumn("bits", F.lit(None).cast("binary"))).select("task", "rep").distinct(), "wanted")
+    units = search_units(found).withColumn("task", F.pmod(F.col("key"), F.lit(tasks))).drop("key")
+    left = written(units.groupBy("task").applyInArrow(surviving_rows(percent), UNIT), "surviving")
+    drop(found)
+    wanted = written(left.select("task", "rep").distinct(), "wanted")
     sets = sets_of(docs, written(wanted.select(F.col("rep").alias("doc_id")).distinct(), "ids"), k)
     brought = wanted.join(sets.withColumnRenamed("doc_id", "rep"), "rep").select("task", "rep", "h")
-    new = units(found).groupBy("task").cogroup(brought.groupBy("task")).applyInArrow(forest_links(percent), "a long, b long")
+    new = left.groupBy("task").cogroup(brought.groupBy("task")).applyInArrow(forest_links(percent), "a long, b long")
     final = components(written(links.unionByName(new), "links"))
-    drop(found)
+    drop(left), drop(sets)
     labelled = keys.join(final, keys["rep"] == final["id"], "left").select("k1", "k2", "rep", F.coalesce("root", "rep").alias("component_id"))
     out = members_.select("doc_id", "k1", "k2", F.col("n").alias("n_shingles")).join(labelled, ["k1", "k2"], "left")
     return out.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), F.coalesce("rep", "doc_id").alias("rep"))
