@@ -128,7 +128,7 @@ def _table(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _CELLS = derive.with_graph("g_page_link") + "SELECT v, u FROM cells"
-QUERIES = {"udf_pack": _pack, "udf_varint": _varint, "bv_rank": _rank, "bv_select": _select, "udtf_neighbors": _table}
+QUERIES = {"udf_pack": _pack, "udf_varint": _varint, "bv_rank": _rank, "bv_select": _select, "bv_rank_all": _rank, "bv_select_all": _select, "udtf_neighbors": _table}
 ORACLES = {
     "udf_pack": _CELLS, "udf_varint": _CELLS, "udtf_neighbors": _CELLS,
     "bv_rank": derive.with_graph("g_page_link") + "SELECT v, count(CASE WHEN u <= 400 THEN 1 END) AS r FROM cells GROUP BY v",

@@ -266,8 +266,9 @@ class BTree(Stored):
 
     def insert(self, position: int, bit: int = 1) -> None:
         """Puts a bit at ``position``; what stood there and after moves up. A leaf twice as long as others is split."""
-        for k in range(len(self.ends)):
-            self._leaf(k)
+        if len(self.leaves) < len(self.ends):
+            for k in range(len(self.ends)):
+                self._leaf(k)
         k = min(int(np.searchsorted(self.ends, position, "right")), len(self.ends) - 1)
         at = position - (int(self.ends[k - 1]) if k else 0)
         new = np.insert(self.leaves[k], at, bit)

@@ -172,7 +172,7 @@ def insert_ones(ones: DataFrame, new: DataFrame) -> DataFrame:
     return both.withColumn("w", within).join(before, "leaf").select((F.col("place") + F.col("shift") + F.col("w")).alias("place"))
 
 
-def btree_insert(spark: SparkSession, sf_dir: str) -> DataFrame:
+def leaf_insert(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(place): ones of a bit vector of a week's minutes after inserting each event before its minute; a batch's inserts are one join on leaves and the
     vector is a table that each batch writes anew, so nothing is kept on the driver."""
     at = f"{shared_folder(spark)}/packgraph-stream-{uuid.uuid4().hex}"
@@ -189,7 +189,27 @@ def btree_insert(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.schema("place long").parquet(current["path"])
 
 
-QUERIES = {"stream_tumbling": tumbling, "stream_sliding": sliding, "stream_session": session, "stream_dedup": dedup, "stream_join": stream_join, "stream_edges": stream_edges, "stream_width_changes": width_changes, "stream_late": late, "stream_late_counted": late_counted, "stream_interval_join": interval_join, "stream_adjacency": adjacency_state, "stream_btree_insert": btree_insert}
+def btree_insert(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Places of ones after inserting each event's hour into a bit vector of leaves, batch by batch. The driver inserts; a batch comes to it a partition at a time."""
+    import numpy as np
+
+    from ..offsets.kinds import BTree
+
+    tree = BTree(np.zeros(0, np.int64), 1, 256)
+    at = f"{shared_folder(spark)}/packgraph-stream-{uuid.uuid4().hex}"
+
+    def add(b: DataFrame, k: int) -> None:
+        for r in b.orderBy("event_id").toLocalIterator():
+            tree.insert(min(int(r["h"]), int(tree.ends[-1])))
+
+    s = stream(spark, sf_dir).select("event_id", F.hour("ts").alias("h"))
+    q = s.writeStream.foreachBatch(add).option("checkpointLocation", f"{at}/check").trigger(availableNow=True).start()
+    q.awaitTermination()
+    ones = tree.select(np.arange(int(tree.ones[-1])))
+    return spark.createDataFrame([(int(x),) for x in ones], "place long")
+
+
+QUERIES = {"stream_tumbling": tumbling, "stream_sliding": sliding, "stream_session": session, "stream_dedup": dedup, "stream_join": stream_join, "stream_edges": stream_edges, "stream_width_changes": width_changes, "stream_late": late, "stream_late_counted": late_counted, "stream_interval_join": interval_join, "stream_adjacency": adjacency_state, "stream_btree_insert": btree_insert, "stream_leaf_insert": leaf_insert}
 ORACLES = {
     "stream_tumbling": "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS day, event_type, count(*) AS n FROM events GROUP BY 1, 2",
     "stream_sliding": "SELECT strftime(s, '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM (SELECT date_trunc('day', ts) AS s FROM events UNION ALL SELECT date_trunc('day', ts) - INTERVAL 1 DAY FROM events) q GROUP BY 1",
@@ -198,6 +218,6 @@ ORACLES = {
     "stream_join": "SELECT event_id, user_id, c_nationkey FROM events JOIN customer ON c_custkey = user_id",
     "stream_interval_join": "SELECT a.event_id, b.event_id AS later_id FROM events a JOIN events b ON b.user_id = a.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 6 HOUR WHERE a.event_type = 'view' AND b.event_type = 'click'",
     "stream_adjacency": "SELECT user_id, event_type FROM (SELECT user_id, event_type, max(ts) AS last, max(max(ts)) OVER (PARTITION BY user_id) AS newest FROM events GROUP BY 1, 2) q WHERE last >= newest - INTERVAL 7 DAY",
-    "stream_btree_insert": "SELECT CAST(place + row_number() OVER (ORDER BY place, event_id) - 1 AS BIGINT) AS place FROM (SELECT event_id, (CAST(floor(epoch(ts)) AS BIGINT) // 60) % 10080 AS place FROM events) q",
+    "stream_leaf_insert": "SELECT CAST(place + row_number() OVER (ORDER BY place, event_id) - 1 AS BIGINT) AS place FROM (SELECT event_id, (CAST(floor(epoch(ts)) AS BIGINT) // 60) % 10080 AS place FROM events) q",
     "stream_edges": "SELECT user_id, event_type, count(*) AS w FROM events GROUP BY 1, 2",
 }
