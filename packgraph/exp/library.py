@@ -85,7 +85,7 @@ def algorithm_times(spark: SparkSession, sf_dir: str, codecs=FINE, algorithms=("
         base.setdefault(a, took)
         rows.append((g.name, a, codec, took, took / base[a]))
 
-    for g in (kron(spark, 10, 4), kron(spark, 10, 16)):
+    for g in (kron(spark, 8, 4), kron(spark, 8, 16)):
         g = Graph(g.name, g.n, written(g.edges, "edges"))
         base: dict[str, float] = {}
         for codec, cells in forms(g, codecs).items():
@@ -136,7 +136,7 @@ def scheme_sizes(spark: SparkSession, sf_dir: str, graphs=("g_user_next", "g_pag
     return spark.createDataFrame(rows, "graph string, scheme string, bits long, trad_bits long, percent double")
 
 
-def preprocessing(spark: SparkSession, sf_dir: str, graphs=("g_user_next", "g_page_link")) -> DataFrame:
+def preprocessing(spark: SparkSession, sf_dir: str, graphs=("g_user_next",)) -> DataFrame:
     """graph, form, build_s, ratio: seconds to make each form, to those of the plain array. BRB by number of cuts."""
     rows = []
     for name in graphs:
