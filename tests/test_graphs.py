@@ -1,5 +1,6 @@
 """Graph invariants, fixtures of the survey, and plans."""
 
+import numpy as np
 import pytest
 from conftest import SF
 from pyspark.sql import functions as F
@@ -87,6 +88,26 @@ def test_algorithms_on_the_example(example):
     assert sum(r["triangles"] for r in triangle_counts(cells).collect()) == 3 * 4
 
 
+@pytest.mark.parametrize("most", [6_000_000, 60, 9])
+def test_triangles_by_parts(spark, most, monkeypatch):
+    """However many parts there are, every triangle is found once, and no wedges are joined."""
+    from itertools import combinations
+
+    from packgraph.algos import traverse
+
+    rng = np.random.default_rng(3)
+    pairs = {(1, k) for k in range(2, 61)} | {tuple(sorted(map(int, rng.choice(60, 2, replace=False) + 1))) for _ in range(400)}
+    cells = Graph.from_edges("g", 60, spark.createDataFrame([(a, b, 1) for a, b in pairs], "src long, dst long, w long")).cells().repartition(3)
+    want = {t for t in combinations(range(1, 61), 3) if all(p in pairs for p in combinations(t, 2))}
+    monkeypatch.setattr(traverse.triangle_parts, "__defaults__", (most,))
+    got = [tuple(r) for r in traverse.triangles(cells).collect()]
+    assert len(got) == len(want) > 300 and set(got) == want
+    total = traverse.triangle_total(cells)
+    assert total.first()[0] == len(want) and "Join" not in total._jdf.queryExecution().toString()
+    assert {r["id"]: r["triangles"] for r in triangle_counts(cells).collect()} == {v: n for v in range(1, 61) if (n := sum(v in t for t in want))}
+    assert traverse.triangle_total(cells.where("false")).first()[0] == 0
+
+
 def test_betweenness_of_all_sources(example):
     import itertools
 
