@@ -26,3 +26,20 @@ def test_query_equals_sql(spark, con, name):
 
 def test_every_oracle_has_its_query():
     assert set(registry.ORACLES) <= set(registry.QUERIES)
+
+
+@pytest.mark.parametrize("name", "fn_ceil_lg gen_er gen_grid gen_kron gen_planted theory_curve theory_er theory_powerlaw".split())
+def test_query_reads_orders(spark, con, name):
+    df = registry.QUERIES[name](spark, SF)
+    assert any("orders.parquet" in x for x in df.inputFiles())
+    want = con.execute(f"SELECT count(*) FROM ({registry.ORACLES[name]}) q").fetchone()[0]
+    assert df.count() == want > 0
+
+
+def test_small_arrangement_is_of_suppliers(spark, con):
+    from packgraph.adjacency.arrange import KINDS, odb_solve
+
+    shared = con.execute("SELECT a.s, b.s, count(*) FROM (SELECT DISTINCT l_orderkey o, l_suppkey s FROM lineitem) a JOIN (SELECT DISTINCT l_orderkey o, l_suppkey s FROM lineitem) b ON a.o = b.o AND a.s < b.s AND b.s < 8 GROUP BY 1, 2").fetchall()
+    edges = sorted((a, b) for a, b, n in shared if n >= sum(x[2] for x in shared) / len(shared))
+    got = {r["kind"]: r["cost"] for r in registry.QUERIES["odb_small"](spark, SF).collect()}
+    assert 0 < len(edges) < 28 and all(got[k] == round(odb_solve(8, edges, k)[0], 6) for k in KINDS)
