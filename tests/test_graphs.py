@@ -196,3 +196,10 @@ def test_refinement(spark):
     every = [sum((a in h) != (b in h) for a, b in pairs) for h in itertools.combinations(range(1, 11), 5)]
     start, got = (cut_profile(g, bisect(g, 1, k)).first()["edge_cut"] for k in (0, 4))
     assert min(every) <= got < start
+
+
+def test_powerlaw_of_given_vertices(spark):
+    """The same graph whether the vertices are counted or given."""
+    ids = spark.range(1, 201).repartition(3)
+    a, b = generate.powerlaw(spark, 200, 1500.0, 2.2).edges, generate.powerlaw(spark, 200, 1500.0, 2.2, ids=ids).edges
+    assert a.count() > 200 and sorted(map(tuple, a.collect())) == sorted(map(tuple, b.collect()))
