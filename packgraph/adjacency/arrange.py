@@ -193,8 +193,11 @@ def _feasible(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _small(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Exact optima of the eight-vertex example."""
-    e = [(0, 4), (0, 6), (4, 6), (2, 4), (2, 6), (1, 3), (1, 5), (3, 5), (5, 7), (3, 7), (6, 7)]
+    """Exact optima for the first eight suppliers: those that share more orders than a pair of them does on average are neighbours."""
+    x = derive.table(spark, sf_dir, "lineitem").where("l_suppkey < 8").select("l_orderkey", F.col("l_suppkey").cast("long").alias("a")).distinct()
+    shared = x.join(x.withColumnRenamed("a", "b"), "l_orderkey").where("a < b").groupBy("a", "b").count().collect()  # 28 pairs at most
+    mean = sum(r["count"] for r in shared) / max(len(shared), 1)
+    e = sorted((r["a"], r["b"]) for r in shared if r["count"] >= mean)
     rows = [(k, *odb_solve(8, e, k)) for k in KINDS] + [("pod", *pod_solve(8, e))]
     return spark.createDataFrame([(k, round(c, 6), [int(x) for x in p]) for k, c, p in rows], "kind string, cost double, labels array<long>")
 
