@@ -18,6 +18,7 @@ import re
 import sys
 from collections import Counter
 from collections.abc import Iterator
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -29,6 +30,9 @@ LONGEST = 24
 #: Numbers that are neither letters nor decimal digits (superscripts, fractions, Roman numerals), which \\w holds too.
 _NUMBERS = "".join(c for c in map(chr, range(sys.maxunicode + 1)) if c.isalnum() and not c.isalpha() and not c.isdecimal())
 _WORD = re.compile(rf"[^\W\d_{_NUMBERS}]{{1,{LONGEST}}}")
+#: The same where a text has none of those numbers: a class of so many characters is searched one by one.
+_PLAIN = re.compile(rf"[^\W\d_]{{1,{LONGEST}}}")
+_NUMBER_SET = frozenset(_NUMBERS)
 MARK = "▁"
 ROWS_PER_LANGUAGE = 400
 KNOWN_WORDS = 600_000
@@ -37,7 +41,10 @@ PART = 20_000
 
 def letters(text: str | None) -> list[str]:
     """The text's words in lower case, for training and prediction alike."""
-    return _WORD.findall(text.lower()) if text else []
+    if not text:
+        return []
+    low = text.lower()
+    return (_PLAIN if low.isascii() or _NUMBER_SET.isdisjoint(low) else _WORD).findall(low)
 
 
 def vocabulary(path: str) -> list[str]:
@@ -48,25 +55,40 @@ def vocabulary(path: str) -> list[str]:
     return [m.id_to_piece(i) for i in range(m.get_piece_size()) if not (m.is_control(i) or m.is_unknown(i) or m.is_byte(i))]
 
 
-class Lattice:
-    """All segmentations of a batch of words: edges (word, from, to, piece), ordered by their end."""
+def beginnings(pieces: dict[str, int]) -> dict[str, int]:
+    """The number of each piece, and -1 for what only begins some."""
+    out = {p[:k]: -1 for p in pieces for k in range(1, len(p))}
+    return out | pieces
+
 
-    def __init__(self, words: list[str], pieces: dict[str, int], longest: int):
-        at, i_, j_, p_ = [], [], [], []
-        unknown = len(pieces)
-        for k, word in enumerate(words):
+class Lattice:
+    """All segmentations of a batch of words: edges (word, from, to, piece), ordered by their end. ``begun``: the pieces' ``beginnings``; from each place
+    a word is followed while some piece goes on."""
+
+    def __init__(self, words: list[str], pieces: dict[str, int], longest: int, begun: dict[str, int] | None = None):
+        if begun is None:
+            begun = beginnings({p: k for p, k in pieces.items() if len(p) <= longest})
+        count, i_, j_, p_ = [], [], [], []
+        unknown, find = len(pieces), begun.get
+        add_i, add_j, add_p = i_.append, j_.append, p_.append
+        for word in words:
             s = MARK + word
-            n = len(s)
-            for j in range(1, n + 1):
-                for i in range(max(0, j - longest), j):
-                    p = pieces.get(s[i:j])
+            n, had = len(s) + 1, len(p_)
+            for i in range(n - 1):
+                p = find(s[i])
+                add_i(i), add_j(i + 1), add_p(unknown if p is None or p < 0 else p)
+                if p is None:
+                    continue
+                for j in range(i + 2, n):
+                    p = find(s[i:j])
                     if p is None:
-                        if i < j - 1:
-                            continue
-                        p = unknown
-                    at.append(k), i_.append(i), j_.append(j), p_.append(p)
+                        break
+                    if p >= 0:
+                        add_i(i), add_j(j), add_p(p)
+            count.append(len(p_) - had)
         j = np.array(j_, np.int64)
         order = np.argsort(j, kind="stable")
+        at = np.repeat(np.arange(len(words)), count)
         self.word, self.i, self.j, self.piece = (np.array(x, np.int64)[order] for x in (at, i_, j_, p_))
         self.length = np.array([len(w) + 1 for w in words], np.int64)
         self.cuts = np.searchsorted(self.j, np.arange(1, (self.length.max(initial=0)) + 2))
@@ -110,8 +132,12 @@ class Model:
         self.pieces = {p: k for k, p in enumerate(pieces)}
         self.longest = max(map(len, pieces), default=1)
 
+    @cached_property
+    def begun(self) -> dict[str, int]:
+        return beginnings(self.pieces)
+
     def log_likelihood(self, words: list[str]) -> np.ndarray:
-        return np.log(np.maximum(Lattice(words, self.pieces, self.longest).likelihood(self.prob), 1e-300))
+        return np.log(np.maximum(Lattice(words, self.pieces, self.longest, self.begun).likelihood(self.prob), 1e-300))
 
 
 def fit(counts: list[tuple[str, str, int]], shares: dict[str, int], pieces: list[str], rounds: int = 4, floor: float = 1e-7, shared: float = 1e-3) -> Model | None:
@@ -125,10 +151,10 @@ def fit(counts: list[tuple[str, str, int]], shares: dict[str, int], pieces: list
     for language, word, n in counts:
         weight[row[word], col[language]] += n
     index = {p: k for k, p in enumerate(pieces)}
-    longest = max(map(len, pieces))
+    longest, begun = max(map(len, pieces)), beginnings(index)
     order = sorted(range(len(words)), key=lambda k: len(words[k]))  # words of one length together: tables of a part are as wide as its longest
     parts = [order[i : i + PART] for i in range(0, len(order), PART)]
-    lattices = [Lattice([words[k] for k in part], index, longest) for part in parts]
+    lattices = [Lattice([words[k] for k in part], index, longest, begun) for part in parts]
     weights = [weight[part] for part in parts]
     use = np.zeros((len(pieces) + 1, len(languages)))
     for x, w in zip(lattices, weights):

@@ -154,3 +154,25 @@ def test_common_integers_vote(spark):
     rows = [(20 * k, [10_000 * k + j if j % 4 else 7 + j for j in range(12)]) for k in range(1, 101)]
     out = align(written(spark.createDataFrame(rows, "rec_id long, prints array<int>"), "prints"), "rec_id = 20").collect()
     assert {(r["class_id"], r["offset"], r["votes"]) for r in out if r["class_id"] != 20} == {(20 * k, 0, 3) for k in range(2, 101)}
+
+
+def test_words_and_segmentations_cost_what_they_must():
+    """Numbers that are no letters part words as before, and a place is left when no piece goes on."""
+    from packgraph.llm import language_id as L
+
+    texts = ["x²y Ⅷ ab_c9d éa" * 3, "plain ascii words_and 12 more", "größe ½ maß", "z" * 60, "", "𐄇a b"]
+    for text in texts:
+        assert L.letters(text) == L._WORD.findall(text.lower())
+    assert L.letters("größe ohne zahlen") == ["größe", "ohne", "zahlen"]
+
+    class Counted(dict):
+        asked = 0
+
+        def get(self, key):
+            Counted.asked += 1
+            return super().get(key)
+
+    pieces = {p: k for k, p in enumerate(["a", "ab", "abc", "b", "c", "xyz"])}
+    lattice = L.Lattice(["abcabc" * 3 + "q" * 20], pieces, 20, Counted(L.beginnings(pieces)))
+    assert set(zip(lattice.i[:6].tolist(), lattice.j[:6].tolist())) == {(0, 1), (1, 2), (1, 3), (2, 3), (1, 4), (3, 4)}
+    assert Counted.asked < 120
