@@ -14,7 +14,7 @@ from ..core.compressed import TRANSFORMERS, CompressedGraph
 from ..core.ids import assign_ids
 from ..core.store import written
 from ..core.weighted import WeightedGraph
-from ..fine.sizes import ALL, CODECS, DEGREE_SQL, _sql, _union, sizes
+from ..fine.sizes import ALL, CODECS, DEGREE_SQL, _sql, _union, row_by_row, sizes, stored
 from ..graphs import derive
 
 ONLY = {k: CODECS[k] for k in ("trad32", "varint", "gap_varint")}
@@ -24,9 +24,9 @@ def exp_adj_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Plain, full and gap-coded sizes under given and degree labels, on all table graphs."""
     frames = []
     for k in ALL:
-        g = derive.load(spark, sf_dir, k)
-        frames.append(sizes(g, ONLY).withColumn("labels", F.lit("given")))
-        frames.append(sizes(apply_degree(g), ONLY).withColumn("labels", F.lit("degree")))
+        with stored(spark, sf_dir, k) as g:
+            frames.append(row_by_row(sizes(g, ONLY)).withColumn("labels", F.lit("given")))
+            frames.append(row_by_row(sizes(apply_degree(g), ONLY)).withColumn("labels", F.lit("degree")))
     return _union(frames)
 
 

@@ -6,12 +6,16 @@ tiny aggregate joined as a single row.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from contextlib import contextmanager
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..adjacency.permute import apply_degree, degree_permuter
 from ..bits.width import bit_length, ceil_lg, varint_bits, zigzag
 from ..core.model import Graph
+from ..core.store import remove, tables, written
 from ..graphs import derive
 from .relabel import greedy_relabel
 
@@ -73,6 +77,22 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
+@contextmanager
+def stored(spark: SparkSession, sf_dir: str, name: str) -> Iterator[Graph]:
+    """A table graph with its edges written, for callers that read them several times; every table made for and of it goes at the end."""
+    before = set(tables())
+    try:
+        g = derive.load(spark, sf_dir, name)
+        yield Graph(g.name, g.n, written(g.edges, "edges"))
+    finally:
+        remove(spark, [x for x in tables() if x not in before])
+
+
+def row_by_row(few: DataFrame) -> DataFrame:
+    """The same few rows, computed now."""
+    return few.sparkSession.createDataFrame(few.collect(), few.schema)  # a row a codec
+
+
 def _one(codec: str):
     def query(spark: SparkSession, sf_dir: str) -> DataFrame:
         return _union([sizes(derive.load(spark, sf_dir, g), {codec: CODECS[codec]}) for g in DEFAULT])
@@ -123,10 +143,10 @@ def exp_greedy_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Local size before and after greedy relabelling, per table graph."""
     frames = []
     for k in ALL:
-        g = derive.load(spark, sf_dir, k)
-        only = {"local": CODECS["local"], "local_gap": CODECS["local_gap"]}
-        a = sizes(g, only).withColumnRenamed("bits", "before")
-        frames.append(a.join(sizes(relabelled(g, "greedy"), only).withColumnRenamed("bits", "after"), ["graph", "codec"]))
+        with stored(spark, sf_dir, k) as g:
+            a = row_by_row(sizes(g, _only_local)).withColumnRenamed("bits", "before")
+            b = row_by_row(sizes(relabelled(g, "greedy"), _only_local)).withColumnRenamed("bits", "after")
+            frames.append(a.join(b, ["graph", "codec"]))
     return _union(frames)
 
 

@@ -203,3 +203,19 @@ def test_powerlaw_of_given_vertices(spark):
     ids = spark.range(1, 201).repartition(3)
     a, b = generate.powerlaw(spark, 200, 1500.0, 2.2).edges, generate.powerlaw(spark, 200, 1500.0, 2.2, ids=ids).edges
     assert a.count() > 200 and sorted(map(tuple, a.collect())) == sorted(map(tuple, b.collect()))
+
+
+def test_size_experiments_keep_no_graph(spark, monkeypatch):
+    """Each graph is written once, and goes with all that was made of it; a few rows are left."""
+    from packgraph.core.store import tables
+    from packgraph.exp import adjacency
+    from packgraph.fine import sizes as fine
+
+    for module, query in ((fine, fine.exp_greedy_gain), (adjacency, adjacency.exp_adj_sizes)):
+        monkeypatch.setattr(module, "ALL", ("g_page_link",))
+        before = set(tables())
+        out = query(spark, "/root/testdata/sf0.001")
+        assert not out.inputFiles() and set(tables()) == before
+        got = {(r["codec"], r["labels"]) if "labels" in out.columns else r["codec"]: r for r in out.collect()}
+    plain = {r["codec"]: r["bits"] for r in sizes(derive.load(spark, "/root/testdata/sf0.001", "g_page_link"), adjacency.ONLY).collect()}
+    assert {k: got[k, "given"]["bits"] for k in adjacency.ONLY} == plain
